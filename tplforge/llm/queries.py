@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tplforge.llm import language_id, quality_classifier, quality_rules, token_counts, url_rules
+from tplforge.llm import language_id, quality_classifier, quality_rules, simhash, substring_dedup, token_counts, url_rules
 from tplforge.llm.common import table
 
 
@@ -26,12 +26,20 @@ def op5_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge_urls(table(spark, sf_dir, "pages"), url_rules.rule_table(spark))
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.contract(table(spark, sf_dir, "documents"))
+
+
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.contract(table(spark, sf_dir, "documents"))
 
 
+def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.contract(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op3_quality_rules, op4_token_counts, op5_url_filters, op9_language_id)}
+    return {f.__name__: f for f in (op1_quality_classifier, op3_quality_rules, op4_token_counts, op5_url_filters, op8_substring_dedup, op9_language_id, op10_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:
