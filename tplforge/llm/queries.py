@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tplforge.llm import language_id, quality_classifier, quality_rules, simhash, substring_dedup, token_counts, url_rules
+from tplforge.llm import decontaminate, html_extract, language_id, mixing, quality_classifier, quality_rules, simhash, substring_dedup, token_counts, url_rules
 from tplforge.llm.common import table
 
 
@@ -14,6 +14,10 @@ def op1_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_classifier.score(table(spark, sf_dir, "documents"))
 
 
+def op2_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.contract(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.contract(table(spark, sf_dir, "documents"))
 
@@ -26,6 +30,14 @@ def op5_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge_urls(table(spark, sf_dir, "pages"), url_rules.rule_table(spark))
 
 
+def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contract(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(table(spark, sf_dir, "pages"))
+
+
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.contract(table(spark, sf_dir, "documents"))
 
@@ -39,7 +51,19 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op3_quality_rules, op4_token_counts, op5_url_filters, op8_substring_dedup, op9_language_id, op10_simhash)}
+    every = (
+        op1_quality_classifier,
+        op2_source_mixing,
+        op3_quality_rules,
+        op4_token_counts,
+        op5_url_filters,
+        op6_decontamination,
+        op7_html_extraction,
+        op8_substring_dedup,
+        op9_language_id,
+        op10_simhash,
+    )
+    return {f.__name__: f for f in every}
 
 
 def oracle_sql() -> dict[str, str]:
