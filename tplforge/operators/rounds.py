@@ -106,7 +106,8 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
     """
     spark = lines.sparkSession
     distinct = distinct_lines(lines).persist()
-    table = patterns(distinct.drop("weight"), cfg.context.similarity)
+    # variable words of one shape are one pattern, whatever similarity the distances use
+    table = patterns(distinct.drop("weight"), "classed")
     decisions = choose(table.count(), similarity=cfg.context.similarity)
     if decisions["greedy"].choice == "distributed":
         return _run_distributed(distinct, table, cfg, decisions, final)
