@@ -31,7 +31,8 @@ def rules() -> list[Voter]:
         Voter("symbol_chars", c("n_symbols") > 0.06 * c("word_chars"), c("n_symbols") < 0.02 * c("word_chars")),
         Voter("capitals", (upper > 0.4) & (letters >= 20), (upper < 0.15) & (letters >= 20)),
         Voter("exclaim", c("n_exclaim") > 0.2 * words, c("n_exclaim") < 0.05 * words),
-        Voter("repeats", repeat > 0.15, (repeat < 0.02) & (c("n_words") >= 30)),
+        # a line at head and foot of a short text repeats as well; what fills a text repeats in place
+        Voter("repeats", (repeat > 0.15) & (echo > 0.03), (repeat < 0.02) & (c("n_words") >= 30)),
         Voter("echo", echo > 0.1, (echo < 0.03) & (c("n_words") >= 30)),
         Voter("dup_lines", c("n_dup_lines") >= 4, F.lit(False)),
         Voter("word_length", (length > 25) | (length < 1.5), (length >= 2.5) & (length <= 12)),

@@ -39,35 +39,39 @@ def unpack(patterns: np.ndarray, n: int) -> np.ndarray:
     return np.stack([patterns // 3**i % 3 for i in range(n)], axis=1) - 1
 
 
-def fit_patterns(votes: np.ndarray, weight: np.ndarray, rounds: int = 100, prior: float = 0.8, accuracy: float = 0.8, strength: float = 4.0) -> tuple[np.ndarray, float, np.ndarray]:
-    """Posterior of `good` for each pattern, the share of good ones, and the accuracies.
+#: pseudo-counts of (reject, accept) by class: a rule seldom rejects what is good, and
+#: sees only some kinds of bad documents, so on bad ones it may say anything
+PRIOR_BAD, PRIOR_GOOD = (2.0, 1.0), (0.05, 3.0)
 
-    accuracies[j] holds, for voter j, how often a vote is right on good and on bad
-    documents. Both start at `accuracy` and are held there by `strength` pseudo-votes,
-    which also settles which of the two classes is the good one.
+
+def fit_patterns(votes: np.ndarray, weight: np.ndarray, rounds: int = 200, prior: float = 0.85, strength: float = 4.0) -> tuple[np.ndarray, float, np.ndarray]:
+    """Posterior of `good` for each pattern, the share of good ones, and each voter's accuracy.
+
+    What is estimated is how often each voter rejects and accepts on good and on bad
+    documents; an abstention says nothing. It begins with every rejection halving the odds four times over, which also
+    settles which of the two classes is the good one. accuracy[j] is the share of voter j's
+    votes that are right under the posteriors.
     """
     n, r = votes.shape
-    acc = np.full((r, 2), accuracy)
-    share = prior
-    post = np.full(n, prior)
     if not n:
-        return post, share, acc
-    yes, no = (votes == 1), (votes == 0)
+        return np.full(n, prior), prior, np.full(r, 0.5)
+    said = np.stack([votes == v for v in (0, 1)], axis=2).astype(float)  # pattern, voter, outcome
+    post = 1 / (1 + (1 - prior) / prior * 16.0 ** (votes == 0).sum(axis=1))
+    total = weight.sum()
+    pseudo = strength * np.stack([np.tile(PRIOR_BAD, (r, 1)), np.tile(PRIOR_GOOD, (r, 1))])
+    share = prior
     for _ in range(rounds):
-        a = np.clip(acc, 0.02, 0.98)
-        good = np.log(share) + yes @ np.log(a[:, 0]) + no @ np.log(1 - a[:, 0])
-        bad = np.log(1 - share) + yes @ np.log(1 - a[:, 1]) + no @ np.log(a[:, 1])
-        new = 1 / (1 + np.exp(np.clip(bad - good, -50, 50)))
-        g, b = weight * new, weight * (1 - new)
-        share = float(np.clip((g.sum() + strength * prior) / (weight.sum() + strength), 0.01, 0.99))
-        acc[:, 0] = (g @ yes + strength * accuracy) / (g @ (yes | no) + strength)
-        acc[:, 1] = (b @ no + strength * accuracy) / (b @ (yes | no) + strength)
-        # a voter stays better than chance: otherwise the classes could change places
-        acc = np.maximum(acc, 0.55)
+        g, b = weight * post, weight * (1 - post)
+        share = float((g.sum() + strength * prior) / (total + strength))
+        theta = pseudo + np.stack([np.einsum("p,pjo->jo", b, said), np.einsum("p,pjo->jo", g, said)])
+        theta = theta / theta.sum(axis=2, keepdims=True)
+        odds = np.log(share / (1 - share)) + np.einsum("pjo,jo->p", said, np.log(theta[1]) - np.log(theta[0]))
+        new = 1 / (1 + np.exp(-np.clip(odds, -50, 50)))
         moved, post = np.abs(new - post).max(), new
-        if moved < 1e-7:
+        if moved < 1e-9:
             break
-    return post, share, acc
+    right = (weight * post) @ (votes == 1) + (weight * (1 - post)) @ (votes == 0)
+    return post, share, right / np.maximum(weight @ (votes >= 0), 1e-9)
 
 
 def posteriors(df: DataFrame, voters: list[Voter], name: str = "p_good") -> DataFrame:
