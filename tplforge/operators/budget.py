@@ -17,13 +17,13 @@ def next_budget(prev: int, before: int, now: int, left: int, rounding: str = "fl
 
 
 def trace(words: list[int], total: int, start: tuple[int, ...], basis: str = "cumulative", rounding: str = "floor") -> list[int]:
-    """Budgets of all rounds for given word counts."""
+    """Budgets of all rounds; words[r] is the count after round r, so round r goes by those of the two before it."""
     out, left = [], total
     seen = words if basis == "cumulative" else [b - a for a, b in zip([0, *words], words, strict=False)]
     for r in range(len(words)):
         if left <= 0:
             break
-        b = min(left, start[r]) if r < len(start) else next_budget(out[-1], seen[r - 1], seen[r], left, rounding)
+        b = min(left, start[r]) if r < len(start) else next_budget(out[-1], seen[r - 2] if r > 1 else 0, seen[r - 1], left, rounding)
         out.append(b)
         left -= b
     return out

@@ -281,10 +281,10 @@ def greedy_sharded(spark, sf_dir):
 
 _MONTHS = """m AS (SELECT cast(extract(year FROM first) * 12 + extract(month FROM first) AS INT) AS m, count(*) AS fresh FROM (SELECT o_custkey, min(o_orderdate) AS first FROM {orders} GROUP BY 1) GROUP BY 1),
 w AS (SELECT cast(row_number() OVER (ORDER BY m) AS INT) AS r, cast(sum(fresh) OVER (ORDER BY m) AS INT) AS seen FROM m)"""
-_BUDGET_STEP = """least(z.left_over, CASE WHEN w.r = 2 THEN 25 ELSE greatest(1, cast(floor(z.budget * least(2.0, greatest(0.0, 1 - (w.seen - z.seen) / cast(w.seen AS DOUBLE))) + 1e-9) AS INT)) END)"""
+_BUDGET_STEP = """least(z.left_over, CASE WHEN w.r = 2 THEN 25 ELSE greatest(1, cast(floor(z.budget * least(2.0, greatest(0.0, 1 - (z.seen - z.prev) / cast(z.seen AS DOUBLE))) + 1e-9) AS INT)) END)"""
 _BUDGET_SQL = f"""WITH RECURSIVE {_MONTHS}, z AS (
- SELECT 1 AS r, 50 AS budget, 150 AS left_over, seen FROM w WHERE r = 1
- UNION ALL SELECT w.r, {_BUDGET_STEP}, z.left_over - {_BUDGET_STEP}, w.seen FROM z JOIN w ON w.r = z.r + 1 WHERE z.left_over > 0
+ SELECT 1 AS r, 50 AS budget, 150 AS left_over, seen, 0 AS prev FROM w WHERE r = 1
+ UNION ALL SELECT w.r, {_BUDGET_STEP}, z.left_over - {_BUDGET_STEP}, w.seen, z.seen FROM z JOIN w ON w.r = z.r + 1 WHERE z.left_over > 0
 ) SELECT r, budget FROM z"""
 
 
