@@ -316,18 +316,20 @@ def op_udtf(spark, sf_dir):
     return spark.sql("SELECT p_partkey, word FROM {part}, LATERAL tpl_cut(p_name)", part=table(spark, sf_dir, "part"))
 
 
-_TS = F.col("ts").cast("timestamp")
+def _ts():
+    return F.col("ts").cast("timestamp")
+
 
 
 @op("SELECT epoch_us(date_trunc('hour', ts)) AS start_us, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 def op_tumble(spark, sf_dir):
-    g = table(spark, sf_dir, "events").groupBy(F.window(_TS, "1 hour").alias("w"), "event_type").agg(F.count("*").alias("n"))
+    g = table(spark, sf_dir, "events").groupBy(F.window(_ts(), "1 hour").alias("w"), "event_type").agg(F.count("*").alias("n"))
     return g.select(F.unix_micros("w.start").alias("start_us"), "event_type", "n")
 
 
 @op("SELECT s AS start_us, event_type, count(*) AS n FROM (SELECT event_type, unnest(list_transform(range(0, 4), lambda i: (epoch_us(ts) // 900000000 - i) * 900000000)) AS s FROM events) GROUP BY 1, 2")
 def op_slide(spark, sf_dir):
-    g = table(spark, sf_dir, "events").groupBy(F.window(_TS, "1 hour", "15 minutes").alias("w"), "event_type").agg(F.count("*").alias("n"))
+    g = table(spark, sf_dir, "events").groupBy(F.window(_ts(), "1 hour", "15 minutes").alias("w"), "event_type").agg(F.count("*").alias("n"))
     return g.select(F.unix_micros("w.start").alias("start_us"), "event_type", "n")
 
 
@@ -336,7 +338,7 @@ def op_slide(spark, sf_dir):
 s AS (SELECT user_id, us, sum(fresh) OVER (PARTITION BY user_id ORDER BY us RANGE UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(us) AS start_us, count(*) AS n FROM s GROUP BY user_id, k"""
 )
 def op_session(spark, sf_dir):
-    g = table(spark, sf_dir, "events").groupBy(F.session_window(_TS, "30 minutes").alias("w"), "user_id").agg(F.count("*").alias("n"))
+    g = table(spark, sf_dir, "events").groupBy(F.session_window(_ts(), "30 minutes").alias("w"), "user_id").agg(F.count("*").alias("n"))
     return g.select("user_id", F.unix_micros("w.start").alias("start_us"), "n")
 
 
