@@ -1,7 +1,7 @@
 """A linear scorer over hashed features, fitted on a bounded sample of rows.
 
 Features of a text: which words it has (lower case, outer punctuation off),
-which five-letter word beginnings, and how its words share among shapes
+which four-letter word beginnings, and how its words share among shapes
 (capitals, symbols at the end, equal to the word before, ...). A token's
 features depend on the token alone and are remembered by worker processes.
 """
@@ -50,7 +50,7 @@ class TokenFeatures(dict):
             shape = 5
         half = DIMS // 2
         w = xxhash.xxh32_intdigest(low.encode(), 1) % half
-        p = half + (xxhash.xxh32_intdigest(low[:5].encode(), 2) % (half - len(SHAPES)) if len(low) > 5 else xxhash.xxh32_intdigest(low.encode(), 3) % (half - len(SHAPES)))
+        p = half + (xxhash.xxh32_intdigest(low[:4].encode(), 2) % (half - len(SHAPES)) if len(low) > 4 else xxhash.xxh32_intdigest(low.encode(), 3) % (half - len(SHAPES)))
         self[token] = n = len(self.rows)
         self.rows.append((w, p, shape))
         return n
@@ -59,8 +59,8 @@ class TokenFeatures(dict):
 _tokens = TokenFeatures()
 
 
-def features(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sparse rows: text number, feature, value."""
+def features(raw: list[bytes], word_gain: float = 1.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sparse rows: text number, feature, value. word_gain: the value of a word that is there."""
     global _tokens
     if len(_tokens) > MEMO_ENTRIES:
         _tokens = TokenFeatures()
@@ -84,7 +84,7 @@ def features(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return (
         np.concatenate([present >> 32, sd]),
         np.concatenate([present & 0xFFFFFFFF, DIMS - len(SHAPES) + sf]),
-        np.concatenate([np.ones(len(present)), shape[sd, sf]]),
+        np.concatenate([np.full(len(present), word_gain), shape[sd, sf]]),
     )
 
 
@@ -92,34 +92,64 @@ def features(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 class Model:
     weights: np.ndarray  # DIMS x classes
     bias: np.ndarray
+    word_gain: float = 1.0
 
     def posteriors(self, raw: list[bytes]) -> np.ndarray:
-        d, f, v = features(raw)
+        d, f, v = features(raw, self.word_gain)
         k = len(self.bias)
         logit = np.stack([np.bincount(d, v * self.weights[f, j], minlength=len(raw)) for j in range(k)], axis=1) + self.bias
         e = np.exp(logit - logit.max(axis=1, keepdims=True)) if len(raw) else logit
         return e / e.sum(axis=1, keepdims=True)
 
 
-def fit(raw: list[bytes], target: np.ndarray, rounds: int = 80, rate: float = 0.3, ridge: float = 2e-4) -> Model:
-    """Multinomial logistic fit by adaptive gradient steps; target: share of each class for each text."""
+def compact(raw: list[bytes], word_gain: float = 1.0, limit: int = 1 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """features() of many texts in narrow types, worked out for about `limit` bytes at a time."""
+    parts, at = [], 0
+    while at < len(raw):
+        end, size = at, 0
+        while end < len(raw) and (end == at or size + len(raw[end]) <= limit):
+            size += len(raw[end])
+            end += 1
+        d, f, v = features(raw[at:end], word_gain)
+        parts.append(((d + at).astype(np.int32), f.astype(np.int32), v.astype(np.float32)))
+        at = end
+    if not parts:
+        return np.empty(0, np.int32), np.empty(0, np.int32), np.empty(0, np.float32)
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
+def fit(raw: list[bytes], target: np.ndarray, rounds: int = 80, rate: float = 0.3, ridge: float = 2e-3, word_gain: float = 1.0, least: int = 40, block: int = 1 << 18) -> Model:
+    """Multinomial logistic fit by adaptive gradient steps; target: share of each class for each text.
+
+    Sums over features run in blocks, so beside the sample's features there are only small temporaries.
+    """
     n, k = target.shape
     w, b = np.zeros((DIMS, k)), np.log(np.maximum(target.mean(axis=0), 1e-3)) if n else np.zeros(k)
     if not n:
-        return Model(w.astype(np.float32), b)
-    d, f, v = features(raw)
+        return Model(w.astype(np.float32), b, word_gain)
+    d, f, v = compact(raw, word_gain)
+    # what only a few texts of the sample have can be learnt by heart, and is no evidence elsewhere
+    common = np.bincount(f, minlength=DIMS) >= min(least, max(1, n // 20))
+    d, f, v = d[common[f]], f[common[f]], v[common[f]]
+    blocks = [slice(i, i + block) for i in range(0, len(d), block)]
     seen, sb = np.full((DIMS, k), 1e-8), np.full(k, 1e-8)
     for _ in range(rounds):
-        logit = np.stack([np.bincount(d, v * w[f, j], minlength=n) for j in range(k)], axis=1) + b
+        logit = np.tile(b, (n, 1))
+        for s in blocks:
+            for j in range(k):
+                logit[:, j] += np.bincount(d[s], v[s] * w[f[s], j], minlength=n)
         e = np.exp(logit - logit.max(axis=1, keepdims=True))
         err = (e / e.sum(axis=1, keepdims=True) - target) / n
-        g = np.stack([np.bincount(f, v * err[d, j], minlength=DIMS) for j in range(k)], axis=1) + ridge * w
+        g = ridge * w
+        for s in blocks:
+            for j in range(k):
+                g[:, j] += np.bincount(f[s], v[s] * err[d[s], j], minlength=DIMS)
         seen += g * g
         w -= rate * g / np.sqrt(seen)
         gb = err.sum(axis=0)
         sb += gb * gb
         b = b - rate * gb / np.sqrt(sb)
-    return Model(w.astype(np.float32), b)
+    return Model(w.astype(np.float32), b, word_gain)
 
 
 def sample_rows(df: DataFrame, key: str, rows: int) -> DataFrame:
@@ -133,7 +163,7 @@ def sample_rows(df: DataFrame, key: str, rows: int) -> DataFrame:
 
 def predict(docs: DataFrame, model: Model, names: list[str]) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_words and the posterior of each class."""
-    held = docs.sparkSession.sparkContext.broadcast((model.weights, model.bias))
+    held = docs.sparkSession.sparkContext.broadcast((model.weights, model.bias, model.word_gain))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = Model(*held.value)

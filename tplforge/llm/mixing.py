@@ -2,14 +2,16 @@
 
 A classifier fitted on a labelled table (a bounded, documented sample of it)
 gives every document its posterior over domains. A document of n tokens adds
-r * n * p_k expected tokens to domain k at rate r. Nonnegative rates whose
-expected domain totals match the targets are found by projected gradient
-descent on the squared error, from rate 1 for all, so documents stay near what
-they are unless the targets pull. In the metric that weighs documents by their
-tokens a step is r <- max(0, r - step * sum_k p_k g_k), g the error of the
-totals: the domains' totals are all that a round has to reduce, and a document's
-rate follows from its posterior and the errors so far. Rounds therefore keep no
-state per document, and lost executors lose nothing.
+r * n * p_k expected tokens to domain k at rate r. Nonnegative rates are found by
+projected gradient descent on the squared errors of the domain totals, each
+relative to the domain's size, plus `pull` times the squared distance of rates
+from 1. The second term decides where targets cannot be met, because posteriors
+are soft (a target of 0 would otherwise thin every document that might belong to
+the domain). In the metric that weighs documents by their tokens a step is
+r <- max(0, r - step * (sum_k p_k g_k + pull * (r - 1))), g the relative errors:
+the domains' totals are all that a round has to reduce, and a document's rate
+follows from its posterior and the errors so far. Rounds therefore keep no state
+per document, and lost executors lose nothing.
 
 Null and empty texts have no tokens and cannot move a total; they get a rate
 like others. Rows that repeat a doc_id are rated one by one. Labels without a
@@ -31,10 +33,11 @@ from tplforge.llm.hashed_linear import fit, predict, sample_rows
 FIT_ROWS = 6000
 DOMAINS = ("good", "poor", "toxic")
 #: shares of the tokens of the mix
-TARGETS = (0.94, 0.05, 0.01)
-ROUNDS = 24
+TARGETS = (0.95, 0.05, 0.0)
+ROUNDS = 40
+PULL = 0.02
 #: the leading domain is asked for this much of its own tokens, so that soft membership does not thin it
-HEADROOM = 1.03
+HEADROOM = 1.08
 
 
 def label_domain() -> Column:
@@ -47,6 +50,7 @@ class Fit:
 
     target: np.ndarray
     step: float
+    pull: float = PULL
     errors: list[np.ndarray] = field(default_factory=list)
     totals: list[np.ndarray] = field(default_factory=list)
 
@@ -65,41 +69,43 @@ def posteriors(docs: DataFrame, labels: DataFrame, domain: Column, domains: tupl
     return predict(docs, model, [f"p_{d}" for d in domains])
 
 
-def rate_column(errors: list[np.ndarray], step: float, names: list[str]) -> Column:
+def rate_column(errors: list[np.ndarray], step: float, names: list[str], pull: float = PULL) -> Column:
     """The rate after all rounds so far, as a fold over the errors."""
     if not errors:
         return F.lit(1.0)
     flat = F.array(*(F.struct(*(F.lit(float(step * x)).alias(n) for x, n in zip(g, names, strict=True))) for g in errors))
 
     def move(r: Column, g: Column) -> Column:
-        return F.greatest(F.lit(0.0), r - sum((F.col(n) * g[n] for n in names), F.lit(0.0)))
+        return F.greatest(F.lit(0.0), r - sum((F.col(n) * g[n] for n in names), F.lit(step * pull) * (r - 1)))
 
     return F.aggregate(flat, F.lit(1.0), move)
 
 
-def fit_rates(scored: DataFrame, weights: tuple[float, ...] = TARGETS, domains: tuple[str, ...] = DOMAINS, rounds: int = ROUNDS, tolerance: float = 1e-4) -> Fit:
+def fit_rates(scored: DataFrame, weights: tuple[float, ...] = TARGETS, domains: tuple[str, ...] = DOMAINS, rounds: int = ROUNDS, tolerance: float = 1e-4, pull: float = PULL) -> Fit:
     """scored(n_words, p_<domain>): read once a round, K sums come back."""
     names = [f"p_{d}" for d in domains]
     k = len(names)
     pairs = [F.sum(F.col("n_words") * F.col(a) * F.col(b)).alias(f"m{i}_{j}") for i, a in enumerate(names) for j, b in enumerate(names)]
     first = scored.agg(*(F.sum(F.col("n_words") * F.col(a)).alias(f"total_{a}") for a in names), *pairs).first()
-    now = np.array([first[f"total_{a}"] or 0.0 for a in names])
+    begun = now = np.array([first[f"total_{a}"] or 0.0 for a in names])
     gram = np.array([[first[f"m{i}_{j}"] or 0.0 for j in range(k)] for i in range(k)])
     share = np.array(weights) / sum(weights)
     # as many tokens as leave the domain with the largest share about its own
     lead = int(share.argmax())
     target = share * (HEADROOM * now[lead] / share[lead])
-    done = Fit(target, 1 / max(np.linalg.eigvalsh(gram).max(), 1e-9), totals=[now])
+    size = np.maximum(begun, 1e-9)
+    scaled = gram / np.sqrt(size)[:, None] / np.sqrt(size)[None, :]
+    done = Fit(target, 1 / (max(np.linalg.eigvalsh(scaled).max(), 1e-9) + pull), pull, totals=[now])
     for _ in range(rounds):
-        error = now - target
-        if np.abs(error).max() <= tolerance * max(target.sum(), 1e-9):
+        if not begun.any():
             break
-        # errors enter as multiples of their inverse curvature: domains of few tokens move as fast as large ones
-        done.errors.append(np.linalg.solve(gram + 1e-9 * np.eye(k) * max(gram.max(), 1), error) / done.step)
-        rate = rate_column(done.errors, done.step, names)
+        done.errors.append((now - target) / size)
+        rate = rate_column(done.errors, done.step, names, pull)
         got = scored.agg(*(F.sum(rate * F.col("n_words") * F.col(a)).alias(f"total_{a}") for a in names)).first()
-        now = np.array([got[f"total_{a}"] or 0.0 for a in names])
+        before, now = now, np.array([got[f"total_{a}"] or 0.0 for a in names])
         done.totals.append(now)
+        if (np.abs(now - before) / size).max() <= tolerance:
+            break
     return done
 
 
@@ -108,7 +114,7 @@ def mix(docs: DataFrame, labels: DataFrame, weights: tuple[float, ...] = TARGETS
     scored = stored(posteriors(docs, labels, label_domain(), domains, fit_rows=fit_rows), "mixing")
     names = [f"p_{d}" for d in domains]
     found = fit_rates(scored, weights, domains, rounds)
-    rate = rate_column(found.errors, found.step, names)
+    rate = rate_column(found.errors, found.step, names, found.pull)
     draw = F.pmod(F.xxhash64(F.lit("mixing"), "doc_id"), F.lit(1 << 20)) / F.lit(float(1 << 20))
     return scored.withColumn("rate", F.round(rate, 6)).withColumn("n_copies", F.floor(F.col("rate") + draw).cast("int"))
 

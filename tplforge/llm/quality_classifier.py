@@ -24,6 +24,8 @@ from tplforge.llm.text_features import count_features
 from tplforge.llm.weak_labels import Voter, posteriors
 
 FIT_ROWS = 6000
+#: words count little beside shapes: quality here is a matter of form, and long texts have many words
+WORD_GAIN = 0.05
 
 
 def labellers() -> list[Voter]:
@@ -38,7 +40,7 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", fit_r
     chosen = sample_rows(weak, "doc_id", fit_rows)
     rows = docs.join(F.broadcast(chosen), "doc_id").limit(2 * fit_rows).collect()  # the sample's bound holds the size
     p = np.array([r["weak_label"] for r in rows], float)
-    model = fit([(r["text"] or "").encode() for r in rows], np.stack([1 - p, p], axis=1) if rows else np.empty((0, 2)))
+    model = fit([(r["text"] or "").encode() for r in rows], np.stack([1 - p, p], axis=1) if rows else np.empty((0, 2)), word_gain=WORD_GAIN)
     # a doc_id's rows differ in text, so the scores are not joined to labels: every row is scored by its text
     scored = predict(docs, model, ["p_bad", "score"])
     return scored.select("doc_id", "n_words", F.round("score", 9).alias("score"), (F.col("score") >= threshold).alias("keep"))
