@@ -114,18 +114,20 @@ def _windows(docs: DataFrame, checks: DataFrame, window: int) -> DataFrame:
 def factor_runs(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """doc_id, start, n, src_id, src_start: windows start..start+n-1 copy those from src_start of the earlier text."""
     all_seeds = seeds(docs, window, gram)
-    shared = all_seeds.groupBy("seed").agg(F.count("*").alias("times")).filter("times > 1").select("seed")
+    # counts are stored before they are joined: both sides of each join are then plain exchanges, which
+    # adaptive execution splits where a seed or window is hot
+    shared = stored(all_seeds.groupBy("seed").agg(F.count("*").alias("times")).filter("times > 1").select("seed"), "substring-shared")
     found = stored(all_seeds.join(shared, "seed"), "substring-seeds")
     by_context = found.groupBy("seed", "context").agg(F.min(F.struct("doc_id", "start", "n")).alias("src"), F.count("*").alias("times"))
     by_context = stored(by_context, "substring-contexts")
     copied = by_context.filter("times > 1").select("seed", "context", F.col("src.doc_id").alias("src_id"), F.col("src.start").alias("src_start"))
     whole = found.join(copied, ["seed", "context"]).filter("doc_id <> src_id OR start <> src_start").select("doc_id", "start", "n", "src_id", "src_start")
     # a seed with several contexts: their windows one by one
-    several = by_context.groupBy("seed").agg(F.count("*").alias("contexts")).filter("contexts > 1").select("seed")
+    several = stored(by_context.groupBy("seed").agg(F.count("*").alias("contexts")).filter("contexts > 1").select("seed"), "substring-several")
     checks = by_context.join(several, "seed").select("src.doc_id", "src.start", "src.n")
     windows = stored(_windows(docs, checks, window), "substring-windows")
     earliest = windows.groupBy("wa", "wb").agg(F.min(F.struct("doc_id", "start")).alias("src"), F.count("*").alias("times")).filter("times > 1")
-    earliest = earliest.select("wa", "wb", F.col("src.doc_id").alias("src_id"), F.col("src.start").alias("src_start"))
+    earliest = stored(earliest.select("wa", "wb", F.col("src.doc_id").alias("src_id"), F.col("src.start").alias("src_start")), "substring-earliest")
     single = windows.join(earliest, ["wa", "wb"]).filter("doc_id <> src_id OR start <> src_start").select("doc_id", "start", F.lit(1).alias("n"), "src_id", "src_start")
     return whole.unionByName(single)
 
