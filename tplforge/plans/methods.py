@@ -496,11 +496,11 @@ def w11_errors_a(spark, sf_dir):
 
 @register()
 def similar_words(spark, sf_dir):
-    """Word pairs of the part names with cosine of at least one half."""
+    """Word pairs of the part names with cosine of at least 0.25."""
     from tplforge.functions.words import similar_pairs
 
     vocab = graph(lines(spark, sf_dir, "part_shelf"))[1].filter(~F.col("word").rlike("[0-9]"))
-    return similar_pairs(vocab, 0.5)
+    return similar_pairs(vocab, 0.25)
 
 
 def queries() -> dict[str, Query]:
