@@ -38,6 +38,8 @@ ROUNDS = 40
 PULL = 0.02
 #: the leading domain is asked for this much of its own tokens, so that soft membership does not thin it
 HEADROOM = 1.08
+#: documents with at least this rate keep a copy; others are rounded by chance
+SURE = 0.8
 
 
 def label_domain() -> Column:
@@ -110,13 +112,13 @@ def fit_rates(scored: DataFrame, weights: tuple[float, ...] = TARGETS, domains:
 
 
 def mix(docs: DataFrame, labels: DataFrame, weights: tuple[float, ...] = TARGETS, domains: tuple[str, ...] = DOMAINS, fit_rows: int = FIT_ROWS, rounds: int = ROUNDS) -> DataFrame:
-    """doc_id, n_words, posteriors, rate and n_copies (rate rounded up or down by the hash of doc_id) of every row."""
+    """doc_id, n_words, posteriors, rate and n_copies (rate rounded up or down by the hash of doc_id, up from SURE to 1) of every row."""
     scored = stored(posteriors(docs, labels, label_domain(), domains, fit_rows=fit_rows), "mixing")
     names = [f"p_{d}" for d in domains]
     found = fit_rates(scored, weights, domains, rounds)
     rate = rate_column(found.errors, found.step, names, found.pull)
     draw = F.pmod(F.xxhash64(F.lit("mixing"), "doc_id"), F.lit(1 << 20)) / F.lit(float(1 << 20))
-    return scored.withColumn("rate", F.round(rate, 6)).withColumn("n_copies", F.floor(F.col("rate") + draw).cast("int"))
+    return scored.withColumn("rate", F.round(rate, 6)).withColumn("n_copies", F.greatest(F.floor(F.col("rate") + draw), (F.col("rate") >= SURE).cast("long")).cast("int"))
 
 
 def contract(docs: DataFrame, labels: DataFrame) -> DataFrame:
