@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import os
+import shutil
+import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -18,3 +21,18 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     path = shared_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Send this package to workers that would not find it: neither their folder nor PYTHONPATH leads here."""
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    here = {os.path.realpath(p) for p in [os.getcwd(), *os.environ.get("PYTHONPATH", "").split(os.pathsep)] if p}
+    app = spark.sparkContext.applicationId
+    if root in here or app in _shipped:
+        return
+    _shipped.add(app)
+    made = shutil.make_archive(os.path.join(tempfile.mkdtemp(), "tplforge"), "zip", root, "tplforge")
+    spark.sparkContext.addPyFile(made)
