@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import byte_slices, raw_bytes, stored, texts
+from tplforge.llm.common import byte_slices, raw_bytes, scratch, stored, texts
 from tplforge.llm.components import components
 
 #: one document in so many is looked at for common shingles
@@ -175,9 +175,14 @@ def _possible(pairs: DataFrame, one: DataFrame, bound: float) -> DataFrame:
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "n_a", "n_b", "odd_a", "odd_b").mapInArrow(run, "a long, b long").distinct()
 
 
+def _held(df: DataFrame, path: str) -> DataFrame:
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def _similar(docs: DataFrame, pairs: DataFrame, one: DataFrame, k: int, bound: float, name: str) -> DataFrame:
     """The pairs (a, b) whose whole sets are within the bound."""
-    pairs = stored(_possible(pairs, one, bound), f"{name}-pairs")
+    pairs = _held(_possible(pairs, one, bound), f"{name}-pairs")
     nodes = pairs.select(F.explode(F.array("a", "b")).alias("doc_id"))
     slot = F.pmod(F.xxhash64("doc_id"), F.lit(FILTER * 32))
     bits = np.zeros(FILTER, np.int64)
@@ -193,22 +198,29 @@ def _similar(docs: DataFrame, pairs: DataFrame, one: DataFrame, k: int, bound: f
                 yield pa.record_batch([b.column("doc_id"), _lists([_set(t, k) for t in raw_bytes(b, "text")])], names=["doc_id", "s"])
 
     sets = docs.filter("doc_id IS NOT NULL").select("doc_id", "text", slot.alias("slot")).mapInArrow(run, "doc_id long, s array<long>")
-    sets = stored(sets, f"{name}-sets")
+    sets = _held(sets, f"{name}-sets")
     both = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
-    return stored(both.filter(common / (F.size("sa") + F.size("sb") - common) >= bound).select("a", "b"), f"{name}-links")
+    return _held(both.filter(common / (F.size("sa") + F.size("sb") - common) >= bound).select("a", "b"), f"{name}-links")
 
 
 def similar_components(docs: DataFrame, k: int, bound: float) -> DataFrame:
-    """doc_id and component_id (the least doc_id that similar pairs lead to) of every row of docs(doc_id, text)."""
-    docs = texts(docs)
-    seen = stored(_prefixes(docs, k, bound), "similar-prefixes")
-    one = stored(seen.filter("doc_id IS NOT NULL").groupBy("key").agg(F.min_by(F.struct("n", "first", "odd"), "doc_id").alias("x"), F.min("doc_id").alias("rep")).select("key", "rep", "x.n", "x.first", "x.odd"), "similar-distinct")
+    """doc_id and component_id (the least doc_id that similar pairs lead to) of every row of docs(doc_id, text).
+
+    The result is a stored table; what it was made from is deleted.
+    """
+    spark, docs = docs.sparkSession, texts(docs)
+    root = scratch(spark, "similar")
+    seen = _held(_prefixes(docs, k, bound), f"{root}/prefixes")
+    one = _held(seen.filter("doc_id IS NOT NULL").groupBy("key").agg(F.min_by(F.struct("n", "first", "odd"), "doc_id").alias("x"), F.min("doc_id").alias("rep")).select("key", "rep", "x.n", "x.first", "x.odd"), f"{root}/distinct")
     rows = one.select("rep", "n", F.posexplode("first").alias("pos", "h"))
-    links = _similar(docs, _candidates(rows.withColumn("comp", F.col("rep")), bound, False), one, k, bound, "similar-near")
+    links = _similar(docs, _candidates(rows.withColumn("comp", F.col("rep")), bound, False), one, k, bound, f"{root}/near")
     label = components(links, "similar-first").select(F.col("node").alias("rep"), "label")
     named = one.join(label, "rep", "left").select("rep", "n", F.coalesce("label", "rep").alias("comp"), F.posexplode("first").alias("pos", "h"))
-    links = links.union(_similar(docs, _candidates(named, bound, True), one, k, bound, "similar-rest"))
+    links = links.union(_similar(docs, _candidates(named, bound, True), one, k, bound, f"{root}/rest"))
     found = components(links, "similar-components")
     of = one.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("component_id"))
-    return seen.select("doc_id", "key").join(of, "key").select("doc_id", "component_id")
+    out = stored(seen.select("doc_id", "key").join(of, "key").select("doc_id", "component_id"), "similar")
+    path = spark._jvm.org.apache.hadoop.fs.Path(root)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    return out

@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.functions.words import classed
+from tplforge.functions.words import classed, vector
 from tplforge.operators.context import Demo
 from tplforge.operators.models import Context, ContextTagger, Predictor, ShapeOnly
 from tplforge.operators.represent import distinct_lines, patterns
-from tplforge.operators.rounds import Config, Result, _cosine_covers, _Pattern, diverse, final_pass
+from tplforge.operators.rounds import Config, Result, _Pattern, diverse, final_pass
 from tplforge.operators.select import greedy_local
 from tplforge.plans.choose import LOCAL_PATTERNS
 
@@ -87,6 +88,21 @@ def _demos(pats: dict[int, _Pattern], picks: list[int]) -> list[Demo]:
     return [Demo(i, tuple(pats[i].words), tuple(pats[i].labels)) for i in picks]
 
 
+def _nearest(words: dict[int, list[str]], m: int, cut: float = 0.3) -> dict[int, set[int]]:
+    """Each line and the m others of highest cosine (6 digits) of at least the cut; ties go to the lower id."""
+    ids = np.array(sorted(words))
+    v = np.array([np.mean([vector(w) for w in words[i]], axis=0) if words[i] else np.zeros(64) for i in ids.tolist()]).reshape(-1, 64)
+    n = np.linalg.norm(v, axis=1, keepdims=True)
+    v = v / np.where(n > 0, n, 1)
+    out = {}
+    for k, i in enumerate(ids.tolist()):
+        s = np.round(v @ v[k], 6)
+        s[k] = -np.inf
+        top = np.lexsort((ids, -s))[:m]
+        out[i] = {i} | set(ids[top[s[top] >= cut]].tolist())
+    return out
+
+
 def single_round(lines: DataFrame, budget: int, k: int = 5, model: ContextTagger | None = None) -> Result:
     """The whole budget on one diverse sample, then k similar examples per line."""
     distinct, pats = _pattern_table(lines)
@@ -108,8 +124,7 @@ def multi_fixed(lines: DataFrame, budget: int, per_round: int, k: int = 5, neigh
             p = Predictor(cfg.model, cfg.context, labelled, len(trace))
             sure = {i: (sum(a.probs) / len(a.probs) if a.probs else 0.0) for i, x in open_.items() for a in [p.predict(i, x.words)[0]]}
             hard = sorted(open_, key=lambda i: (sure[i], i))[: max(1, (len(open_) + 1) // 2)]
-            near = _cosine_covers({i: open_[i].words for i in hard}, 0.3)
-            near = {i: set(sorted(v - {i})[:neighbours]) | {i} for i, v in near.items()}
+            near = _nearest({i: open_[i].words for i in hard}, neighbours)
             picks = [g[1] for g in greedy_local(near, {i: 1 - sure[i] for i in hard}, b, 0.1)]
         labelled += _demos(pats, picks)
         for i in picks:
