@@ -140,3 +140,25 @@ def knn_edges(vectors: DataFrame, m: int, id_col: str = "vec_id", vec: str = "em
     found = pairs.repartition(F.xxhash64(F.col("a")[0]["i"], F.col("b")[0]["i"])).mapInPandas(nearest, "src long, dst long, cos double")
     order = W.partitionBy("src").orderBy(F.desc("cos"), "dst")
     return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= m)
+
+
+def cosine_edges(vectors: DataFrame, cut: float, id_col: str = "log_id", vec: str = "v", block: int = 1000) -> DataFrame:
+    """(src, dst) of all rows with cosine of at least the cut, each with itself; block pairs are matrix products."""
+    n = max(1, -(-vectors.count() // block))
+    one = F.struct(F.col(id_col).cast("long").alias("i"), F.col(vec).alias("v"))
+    cut_up = vectors.groupBy(F.pmod(F.xxhash64(id_col), F.lit(n)).alias("g")).agg(F.collect_list(one).alias("x"))
+
+    def near(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def matrix(rows):
+            v = np.array([r["v"] for r in rows])
+            size = np.linalg.norm(v, axis=1, keepdims=True)
+            return np.array([r["i"] for r in rows]), v / np.where(size > 0, size, 1)
+
+        for pdf in batches:
+            for a, b in zip(pdf.a, pdf.b, strict=True):
+                (src, x), (dst, y) = matrix(a), matrix(b)
+                i, j = np.nonzero((x @ y.T >= cut) | (src[:, None] == dst[None, :]))
+                yield pd.DataFrame({"src": src[i], "dst": dst[j]})
+
+    pairs = cut_up.select(F.col("x").alias("a")).crossJoin(cut_up.select(F.col("x").alias("b")))
+    return pairs.repartition(F.xxhash64(F.col("a")[0]["i"], F.col("b")[0]["i"])).mapInPandas(near, "src long, dst long")

@@ -8,18 +8,22 @@ the limit selection stays distributed. The final pass predicts every distinct li
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field, replace
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tplforge.functions.words import Similarity, vector
+from tplforge.functions.confidence import difficulty, inconsistent, mean_prob
+from tplforge.functions.words import Similarity, classed, residual, vector
 from tplforge.operators import budget as budgets
 from tplforge.operators.context import Demo
 from tplforge.operators.models import Context, ContextTagger, Predictor, predict, templates
-from tplforge.operators.represent import distinct_lines, edges, edges_local, patterns
-from tplforge.operators.select import dpp_local, greedy, greedy_local
+from tplforge.operators.represent import cosine_edges, distinct_lines, edges, edges_local, patterns
+from tplforge.operators.select import dpp_local, dpp_map, greedy, greedy_local
 from tplforge.plans.choose import choose
 from tplforge.session import stored
 
@@ -82,6 +86,34 @@ def diverse(pats: dict[int, _Pattern], k: int) -> list[int]:
     return dpp_local(ids, m, k)
 
 
+def mean_vectors(table: DataFrame) -> DataFrame:
+    """log_id and v, the mean word vector of every row."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            v = [np.mean([vector(w) for w in ws], axis=0).tolist() if len(ws) else [0.0] * 64 for ws in pdf.words]
+            yield pd.DataFrame({"log_id": pdf.log_id, "v": v})
+
+    return table.select("log_id", "words").mapInPandas(run, "log_id long, v array<double>")
+
+
+def _groups(open_: DataFrame, known: list[str], cfg: Config) -> tuple[DataFrame, DataFrame]:
+    """(log_id, grp) and (src, dst) of groups: who stands for whom, as covers_of has it."""
+    own = open_.select("log_id", F.col("log_id").alias("grp"))
+    if not cfg.use_rs:
+        return own, own.select(F.col("grp").alias("src"), F.col("grp").alias("dst"))
+    if cfg.distance == "cosine":
+        return own, cosine_edges(mean_vectors(open_), cfg.cosine_cut)
+    words = F.col("words")
+    res = residual(words, F.array(*map(F.lit, known)).cast("array<string>")) if cfg.residual == "exact" else words
+    kind = cfg.context.similarity
+    rows = open_.select("log_id", "words", res.alias("r"))
+    # equal residuals and lengths stand for the same lines
+    key = F.struct((classed(F.col("r")) if kind == "classed" else F.col("r")).alias("res"), F.size("words").alias("n_words"))
+    member = rows.select("log_id", F.min("log_id").over(W.partitionBy(key)).alias("grp"))
+    return member, edges(patterns(rows, kind, "r"), cfg.delta, cfg.length_basis, kind, cfg.tau).select("src", "dst")
+
+
 def covers_of(open_: dict[int, _Pattern], known: set[str], cfg: Config, spark=None) -> dict[int, set[int]]:
     """Who stands for whom among open patterns, by residual edit distance or by cosine."""
     sim = Similarity(cfg.context.similarity, cfg.tau)
@@ -161,32 +193,41 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
 
 def _run_distributed(distinct: DataFrame, table: DataFrame, cfg: Config, decisions: dict, final: bool) -> Result:
     """The same rounds where the patterns do not fit the driver: only picks, labels and counts reach it."""
-    from tplforge.functions.confidence import difficulty, inconsistent, mean_prob
-    from tplforge.functions.words import residual
-
     labelled: list[Demo] = []
     left, trace, prev, seen_before, r = cfg.budget, [], 0, 0, 0
     open_ = stored(table, "rounds-open")
     while left > 0 and (cfg.max_rounds is None or r < cfg.max_rounds):
         known = sorted({w for d in labelled for w in d.words})
-        now = len(known)
-        b = min(left, cfg.fixed) if not cfg.adaptive_budget else min(left, cfg.start[r]) if r < len(cfg.start) else budgets.next_budget(prev, seen_before, now, left, cfg.rounding)
-        seen_before = now
-        pred = predict(open_, cfg.model, cfg.context, labelled, r)
-        c = pred.join(open_.select("log_id", "words"), "log_id").select("log_id", difficulty(mean_prob(F.col("probs")), inconsistent(F.col("words"), F.col("echo"), F.col("labels")), cfg.a).alias("difficulty"))
-        res = residual(F.col("words"), F.array(*map(F.lit, known)).cast("array<string>"))
-        e = edges(patterns(open_.select("log_id", "words").withColumn("r", res), cfg.context.similarity, "r"), cfg.delta, cfg.length_basis).select("src", "dst")
-        got = greedy(c, e, b, cfg.lam if cfg.use_pc else 0.0, cfg.objective).collect()  # b rows
-        picks = [g["log_id"] for g in got]
+        now, cov = len(known), None
+        if r == 0:
+            b = min(left, cfg.start[0] if cfg.adaptive_budget else cfg.fixed)
+            picks = [g["id"] for g in dpp_map(mean_vectors(open_), b, "log_id", "v").orderBy("rank").collect()]  # b rows
+        else:
+            b = min(left, cfg.fixed) if not cfg.adaptive_budget else min(left, cfg.start[r]) if r < len(cfg.start) else budgets.next_budget(prev, seen_before, now, left, cfg.rounding)
+            seen_before = now
+            member, e = _groups(open_, known, cfg)
+            if cfg.use_pc:
+                pred = predict(open_, cfg.model, cfg.context, labelled, r)
+                c = pred.join(open_.select("log_id", "words"), "log_id").select("log_id", difficulty(mean_prob(F.col("probs")), inconsistent(F.col("words"), F.col("echo"), F.col("labels")), cfg.a).alias("difficulty"))
+            else:
+                c = open_.select("log_id", F.lit(0.0).alias("difficulty"))
+            lam = cfg.lam if cfg.use_rs and cfg.use_pc else 1.0 if cfg.use_pc else 0.0
+            weight = stored(open_.select("log_id", "weight").join(member, "log_id").groupBy(F.col("grp").alias("dst")).agg(F.sum("weight").alias("w")), "rounds-weight")
+            got = greedy(c.join(member, "log_id"), e, b, lam, cfg.objective, weight).orderBy("rank").collect()  # b rows
+            picks = [g["log_id"] for g in got]
+            cov = got[-1]["covered"] / max(1, weight.agg(F.sum("w")).first()[0] or 1) if got else 0.0
         rows = open_.filter(F.col("log_id").isin(picks)).select("log_id", "words", "labels").collect() if picks else []
         if not rows:
             break
+        rows.sort(key=lambda x: picks.index(x["log_id"]))
         labelled += [Demo(x["log_id"], tuple(x["words"]), tuple(x["labels"])) for x in rows]
         open_ = open_.filter(~F.col("log_id").isin(picks))
         open_ = stored(open_, "rounds-open")
-        prev, left = b, left - len(rows)
+        prev = b
+        if r or cfg.charge_init:
+            left -= len(rows)
         words = {w for d in labelled for w in d.words}
-        trace.append({"r": r, "budget": b, "spent": len(rows), "words_seen": len(words), "words_new": len(words) - now, "open": open_.count(), "coverage": None})
+        trace.append({"r": r, "budget": b, "spent": len(rows), "words_seen": len(words), "words_new": len(words) - now, "open": open_.count(), "coverage": cov})
         r += 1
     return Result(labelled, trace, final_pass(distinct, cfg, labelled) if final else None, decisions)
 
@@ -202,8 +243,6 @@ def final_pass(distinct: DataFrame, cfg: Config, labelled: list[Demo]) -> DataFr
 
 def still_open(pred: DataFrame, cut: float) -> DataFrame:
     """Lines whose mean probability is below the cut stay for the next round."""
-    from tplforge.functions.confidence import mean_prob
-
     return pred.filter(mean_prob(F.col("probs")) < cut)
 
 

@@ -65,32 +65,38 @@ def greedy_local(covers: dict[int, set[int]], c: dict[int, float], b: int, lam:
     return out
 
 
-def greedy(cands: DataFrame, edges: DataFrame, b: int, lam: float, form: str = "separable") -> DataFrame:
+def greedy(cands: DataFrame, edges: DataFrame, b: int, lam: float, form: str = "separable", weight: DataFrame | None = None) -> DataFrame:
     """The distributed form: cands(log_id, difficulty), edges(src, dst).
 
+    weight(dst, w): lines that a covered one counts for. Where cands has a column grp, edges and weights
+    are those of groups, whose members stand for the same lines.
+
     A pick changes only the gains of lines that stand for newly covered ones, so each round joins the
     delta and not all edges. Edges and the state of each pick are stored tables: plans stay small.
     Driver trips: one row per pick.
     """
     spark = cands.sparkSession
-    edges = stored(edges.select("src", "dst"), "greedy-edges")
-    fresh = edges.groupBy(F.col("src").alias("log_id")).agg(F.count("*").alias("fresh"))
-    state = stored(cands.join(fresh, "log_id", "left").select("log_id", "difficulty", F.coalesce("fresh", F.lit(0)).alias("fresh")), "greedy-state")
-    u = state.count()
+    edges = edges.select("src", "dst")
+    edges = stored(edges.withColumn("w", F.lit(1)) if weight is None else edges.join(weight.select("dst", "w"), "dst").select("src", "dst", "w"), "greedy-edges")
+    cands = cands if "grp" in cands.columns else cands.withColumn("grp", F.col("log_id"))
+    fresh = edges.groupBy(F.col("src").alias("grp")).agg(F.sum("w").alias("fresh"))
+    state = stored(cands.join(fresh, "grp", "left").select("log_id", "grp", "difficulty", F.coalesce("fresh", F.lit(0)).alias("fresh")), "greedy-state")
+    n = state.count()
+    u = n if weight is None else weight.agg(F.sum("w")).first()[0] or 1
     covered, picks, done = None, [], 0
-    for k in range(min(b, u)):
+    for k in range(min(b, n)):
         mult, base = (k + 1, done) if form == "as_printed" else (1, 0)
         value = F.lit(1 - lam) * (mult * F.col("fresh") + base) / F.lit(float(u)) + F.lit(lam) * F.col("difficulty")
-        top = state.select("log_id", "difficulty", "fresh", F.round(value, 12).alias("gain")).orderBy(F.desc("gain"), "log_id").first()
+        top = state.select("log_id", "grp", "difficulty", "fresh", F.round(value, 12).alias("gain")).orderBy(F.desc("gain"), "log_id").first()
         done += top["fresh"]
         picks.append((k + 1, top["log_id"], float(top["gain"]), int(done), float(top["difficulty"])))
-        if k + 1 == min(b, u):
+        if k + 1 == min(b, n):
             break
-        new = edges.filter(F.col("src") == top["log_id"]).select("dst").distinct()
+        new = edges.filter(F.col("src") == top["grp"]).select("dst").distinct()
         new = stored(new if covered is None else new.join(covered, "dst", "left_anti"), "greedy-new")
-        less = edges.join(new, "dst", "left_semi").groupBy(F.col("src").alias("log_id")).agg(F.count("*").alias("gone"))
-        rest = state.filter(F.col("log_id") != top["log_id"]).join(less, "log_id", "left")
-        state = stored(rest.select("log_id", "difficulty", (F.col("fresh") - F.coalesce("gone", F.lit(0))).alias("fresh")), "greedy-state")
+        less = edges.join(new, "dst", "left_semi").groupBy(F.col("src").alias("grp")).agg(F.sum("w").alias("gone"))
+        rest = state.filter(F.col("log_id") != top["log_id"]).join(less, "grp", "left")
+        state = stored(rest.select("log_id", "grp", "difficulty", (F.col("fresh") - F.coalesce("gone", F.lit(0))).alias("fresh")), "greedy-state")
         covered = new if covered is None else covered.union(new)
     return spark.createDataFrame(picks, PICK)
 
