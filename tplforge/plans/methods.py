@@ -434,19 +434,19 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 
 @register()
-def w2_effectiveness(spark, sf_dir, names=("evt_simple", "ord_desk", "ledger"), methods=("PT", "S1", "MF", "FULL")):
+def w2_effectiveness(spark, sf_dir, names=TRUTH, methods=("PT", "FT", "S1", "MF", "FULL")):
     return scored(_union([method(spark, sf_dir, n, w) for n in names for w in methods]))
 
 
 @register()
-def w3_w4_cost(spark, sf_dir, names=("evt_simple", "ord_desk"), methods=("S1", "MF", "FULL")):
+def w3_w4_cost(spark, sf_dir, names=TRUTH, methods=("S1", "MF", "FULL")):
     """Seconds per line (modelled), context size, tokens and price."""
     p = _union([method(spark, sf_dir, n, w) for n in names for w in methods]).persist()
     return M.time_per_line(p).join(M.context_size(p), ["domain", "method"]).join(M.api_cost(p), ["domain", "method"])
 
 
 @register()
-def w5_ablation(spark, sf_dir, names=("ord_desk",)):
+def w5_ablation(spark, sf_dir, names=("part_shelf", "evt_rich", "ord_desk", "evt_simple")):
     got = _union([scored(method(spark, sf_dir, n, w)) for n in names for w in ("FULL", "-SED", "-RS", "-PC", "-AD", "-AB")]).persist()
     return got.join(M.delta(got, "FULL"), ["domain", "method"], "left")
 
@@ -460,24 +460,28 @@ def _sweep(spark, sf_dir, names, values, change, extra=None) -> DataFrame:
     return _union(parts)
 
 
+#: corpora of the sweeps
+_SWEPT = ("ord_desk", "evt_simple")
+
+
 @register()
 def w6_sweep_budget(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("ord_desk",), (10, 50, 200), lambda c, v: replace(c, budget=v, start=(min(10, v), 10)))
+    return _sweep(spark, sf_dir, _SWEPT, (50, 100, 150, 200, 250), lambda c, v: replace(c, budget=v, start=(10, 10) if v <= 50 else (50, 25)))
 
 
 @register()
 def w7_sweep_lambda(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("ord_desk",), (0, 0.25, 0.5, 0.75, 1), lambda c, v: replace(c, budget=20, start=(5, 5), lam=v))
+    return _sweep(spark, sf_dir, _SWEPT, (0, 0.25, 0.5, 0.75, 1), lambda c, v: replace(c, lam=v))
 
 
 @register()
 def w8_sweep_delta(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("ord_desk",), (0, 0.25, 0.3, 0.5, 1), lambda c, v: replace(c, budget=20, start=(5, 5), delta=v))
+    return _sweep(spark, sf_dir, ("ord_desk",), (0, 0.25, 0.3, 0.5, 1), lambda c, v: replace(c, delta=v))
 
 
 @register()
 def w9_sweep_tau(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("evt_simple",), (0, 0.25, 0.5, 0.75, 1), lambda c, v: replace(c, budget=20, start=(5, 5), tau=v, context=Context(similarity="vector", tau=v), model=ContextTagger("vector", v)))
+    return _sweep(spark, sf_dir, _SWEPT, (0, 0.25, 0.5, 0.75, 1), lambda c, v: replace(c, tau=v, context=Context(similarity="vector", tau=v), model=ContextTagger("vector", v)))
 
 
 def _error_counts(p: DataFrame) -> DataFrame:
@@ -486,12 +490,12 @@ def _error_counts(p: DataFrame) -> DataFrame:
 
 @register()
 def w10_errors_lambda(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("evt_rich",), (0, 0.25, 0.5), lambda c, v: replace(c, budget=20, start=(5, 5), lam=v, model=ContextTagger(inject=20)), _error_counts)
+    return _sweep(spark, sf_dir, ("evt_rich",), (0, 0.25, 0.5), lambda c, v: replace(c, lam=v, model=ContextTagger(inject=20)), _error_counts)
 
 
 @register()
 def w11_errors_a(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("evt_rich",), (0.2, 0.5, 0.8), lambda c, v: replace(c, budget=20, start=(5, 5), a=v, model=ContextTagger(inject=20)), _error_counts)
+    return _sweep(spark, sf_dir, ("evt_rich",), (0.2, 0.5, 0.8), lambda c, v: replace(c, a=v, model=ContextTagger(inject=20)), _error_counts)
 
 
 @register()
