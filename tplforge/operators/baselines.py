@@ -7,13 +7,15 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tplforge.functions.confidence import mean_prob
 from tplforge.functions.words import classed, vector
 from tplforge.operators.context import Demo
-from tplforge.operators.models import Context, ContextTagger, Predictor, ShapeOnly
-from tplforge.operators.represent import distinct_lines, patterns
-from tplforge.operators.rounds import Config, Result, _Pattern, diverse, final_pass
-from tplforge.operators.select import greedy_local
+from tplforge.operators.models import Context, ContextTagger, Predictor, ShapeOnly, predict
+from tplforge.operators.represent import distinct_lines, knn_edges, patterns
+from tplforge.operators.rounds import Config, Result, _Pattern, diverse, final_pass, mean_vectors
+from tplforge.operators.select import dpp_map, greedy, greedy_local
 from tplforge.plans.choose import LOCAL_PATTERNS
+from tplforge.session import stored
 
 WILD = "<*>"
 
@@ -76,18 +78,47 @@ def as_typed(pred: DataFrame) -> DataFrame:
     return joined.withColumn("group", F.col("pred")).withColumn("pred", F.array_join(typed, " ")).drop("types")
 
 
-def _pattern_table(lines: DataFrame) -> tuple[DataFrame, dict[int, _Pattern]]:
+def _pattern_table(lines: DataFrame) -> tuple[DataFrame, DataFrame, dict[int, _Pattern] | None]:
+    """Distinct lines, their patterns, and these once more on the driver if they fit it."""
     distinct = distinct_lines(lines).persist()
     table = patterns(distinct.drop("weight"), "classed")
     if table.count() > LOCAL_PATTERNS:
-        raise ValueError("baselines that rank cosine vectors keep their patterns on the driver; split the domain")
-    return distinct, {r["log_id"]: _Pattern(r["log_id"], list(r["words"]), list(r["labels"]), r["weight"]) for r in table.select("log_id", "words", "labels", "weight").collect()}
+        return distinct, stored(table, "baseline-patterns"), None
+    return distinct, table, {r["log_id"]: _Pattern(r["log_id"], list(r["words"]), list(r["labels"]), r["weight"]) for r in table.select("log_id", "words", "labels", "weight").collect()}
 
 
 def _demos(pats: dict[int, _Pattern], picks: list[int]) -> list[Demo]:
     return [Demo(i, tuple(pats[i].words), tuple(pats[i].labels)) for i in picks]
 
 
+def _rows(table: DataFrame, picks: list[int]) -> list[Demo]:
+    rows = {r["log_id"]: r for r in table.filter(F.col("log_id").isin(picks)).select("log_id", "words", "labels").collect()} if picks else {}
+    return [Demo(i, tuple(rows[i]["words"]), tuple(rows[i]["labels"])) for i in picks]
+
+
+def diverse_start(lines: DataFrame, k: int) -> tuple[DataFrame, list[Demo]]:
+    """Distinct lines and k diverse patterns with their labels."""
+    distinct, table, pats = _pattern_table(lines)
+    if pats is not None:
+        return distinct, _demos(pats, diverse(pats, k))
+    return distinct, _rows(table, _diverse_ids(table, k))
+
+
+def _diverse_ids(table: DataFrame, k: int) -> list[int]:
+    return [r["id"] for r in dpp_map(mean_vectors(table), k, "log_id", "v").orderBy("rank").collect()]  # k rows
+
+
+def _hard_picks(open_: DataFrame, cfg: Config, labelled: list[Demo], rnd: int, b: int, neighbours: int, cut: float = 0.3) -> list[int]:
+    """A round of multi_fixed where the patterns do not fit the driver."""
+    sure = stored(predict(open_, cfg.model, cfg.context, labelled, rnd).select("log_id", mean_prob(F.col("probs")).alias("sure")), "baseline-sure")
+    hard = stored(sure.orderBy("sure", "log_id").limit(max(1, (open_.count() + 1) // 2)), "baseline-hard")
+    v = mean_vectors(open_.join(hard.select("log_id"), "log_id", "left_semi"))
+    near = knn_edges(v, neighbours, "log_id", "v").filter(F.col("cos") >= cut).select("src", "dst")
+    own = hard.select(F.col("log_id").alias("src"), F.col("log_id").alias("dst"))
+    got = greedy(hard.select("log_id", (1 - F.col("sure")).alias("difficulty")), near.union(own), b, 0.1)
+    return [r["log_id"] for r in got.orderBy("rank").collect()]  # b rows
+
+
 def _nearest(words: dict[int, list[str]], m: int, cut: float = 0.3) -> dict[int, set[int]]:
     """Each line and the m others of highest cosine (6 digits) of at least the cut; ties go to the lower id."""
     ids = np.array(sorted(words))
@@ -105,17 +136,26 @@ def _nearest(words: dict[int, list[str]], m: int, cut: float = 0.3) -> dict[int,
 
 def single_round(lines: DataFrame, budget: int, k: int = 5, model: ContextTagger | None = None) -> Result:
     """The whole budget on one diverse sample, then k similar examples per line."""
-    distinct, pats = _pattern_table(lines)
+    distinct, labelled = diverse_start(lines, budget)
     cfg = Config(budget=budget, context=Context(mode="topk", k=k), model=model or ContextTagger())
-    labelled = _demos(pats, diverse(pats, budget))
     return Result(labelled, [{"r": 0, "budget": budget, "spent": len(labelled)}], final_pass(distinct, cfg, labelled))
 
 
 def multi_fixed(lines: DataFrame, budget: int, per_round: int, k: int = 5, neighbours: int = 5, model: ContextTagger | None = None) -> Result:
     """Rounds of one size: hard lines (the less sure half) covered by their nearest neighbours, repeats counting less."""
-    distinct, pats = _pattern_table(lines)
+    distinct, table, pats = _pattern_table(lines)
     cfg = Config(budget=budget, context=Context(mode="topk", k=k), model=model or ContextTagger())
-    labelled, open_, left, trace = [], dict(pats), budget, []
+    labelled, left, trace = [], budget, []
+    while pats is None and left > 0:
+        b = min(left, per_round)
+        picks = _hard_picks(table, cfg, labelled, len(trace), b, neighbours) if labelled else _diverse_ids(table, b)
+        if not picks:
+            break
+        labelled += _rows(table, picks)
+        table = stored(table.filter(~F.col("log_id").isin(picks)), "baseline-patterns")
+        left -= len(picks)
+        trace.append({"r": len(trace), "budget": b, "spent": len(picks)})
+    open_ = dict(pats or {})
     while left > 0 and open_:
         b = min(left, per_round)
         if not labelled:
@@ -152,8 +192,7 @@ def token_tagger(lines: DataFrame, budget: int) -> Result:
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import FeatureHasher, IndexToString, StringIndexer
 
-    distinct, pats = _pattern_table(lines)
-    labelled = _demos(pats, diverse(pats, budget))
+    distinct, labelled = diverse_start(lines, budget)
     known = [d.id for d in labelled]
 
     def word_rows(df: DataFrame) -> DataFrame:

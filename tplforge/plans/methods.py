@@ -303,8 +303,7 @@ def _recursive(spark, sf_dir):
 
 # ---- contexts, prompts, cost --------------------------------------------------------------------
 def _demos(spark, sf_dir, name="ord_desk", k=20):
-    _, pats = B._pattern_table(lines(spark, sf_dir, name))
-    return B._demos(pats, R.diverse(pats, k))
+    return B.diverse_start(lines(spark, sf_dir, name), k)[1]
 
 
 @register()
