@@ -16,6 +16,13 @@ def next_budget(prev: int, before: int, now: int, left: int, rounding: str = "fl
     return min(left, max(1, n))
 
 
+def compared(seen: list[int], basis: str = "cumulative") -> tuple[int, int]:
+    """The counts before and now; seen starts with 0 and has what was known after each round."""
+    if basis == "cumulative":
+        return seen[-2], seen[-1]
+    return (seen[-2] - seen[-3] if len(seen) > 2 else 0), seen[-1] - seen[-2]
+
+
 def trace(words: list[int], total: int, start: tuple[int, ...], basis: str = "cumulative", rounding: str = "floor") -> list[int]:
     """Budgets of all rounds; words[r] is the count after round r, so round r goes by those of the two before it."""
     out, left = [], total

@@ -146,7 +146,7 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
     pats = {r["log_id"]: _Pattern(r["log_id"], list(r["words"]), list(r["labels"]), r["weight"]) for r in table.select("log_id", "words", "labels", "weight").collect()}  # size checked above
     labelled: list[Demo] = []
     left, open_, trace = cfg.budget, dict(pats), []
-    seen_before, prev = 0, 0
+    seen, prev = [0], 0  # words known at the start of each round
     r = 0
     while left > 0 and open_ and (cfg.max_rounds is None or r < cfg.max_rounds):
         known = {w for d in labelled for w in d.words}
@@ -160,8 +160,8 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
             elif r < len(cfg.start):
                 b = min(left, cfg.start[r])
             else:
-                b = budgets.next_budget(prev, seen_before, now, left, cfg.rounding)
-            seen_before = now
+                b = budgets.next_budget(prev, *budgets.compared([*seen, now], cfg.words_basis), left, cfg.rounding)
+            seen.append(now)
             p = Predictor(cfg.model, cfg.context, labelled, r)
             c = {}
             for i, x in open_.items():
@@ -194,7 +194,7 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
 def _run_distributed(distinct: DataFrame, table: DataFrame, cfg: Config, decisions: dict, final: bool) -> Result:
     """The same rounds where the patterns do not fit the driver: only picks, labels and counts reach it."""
     labelled: list[Demo] = []
-    left, trace, prev, seen_before, r = cfg.budget, [], 0, 0, 0
+    left, trace, prev, seen, r = cfg.budget, [], 0, [0], 0
     open_ = stored(table, "rounds-open")
     while left > 0 and (cfg.max_rounds is None or r < cfg.max_rounds):
         known = sorted({w for d in labelled for w in d.words})
@@ -203,8 +203,8 @@ def _run_distributed(distinct: DataFrame, table: DataFrame, cfg: Config, decisio
             b = min(left, cfg.start[0] if cfg.adaptive_budget else cfg.fixed)
             picks = [g["id"] for g in dpp_map(mean_vectors(open_), b, "log_id", "v").orderBy("rank").collect()]  # b rows
         else:
-            b = min(left, cfg.fixed) if not cfg.adaptive_budget else min(left, cfg.start[r]) if r < len(cfg.start) else budgets.next_budget(prev, seen_before, now, left, cfg.rounding)
-            seen_before = now
+            b = min(left, cfg.fixed) if not cfg.adaptive_budget else min(left, cfg.start[r]) if r < len(cfg.start) else budgets.next_budget(prev, *budgets.compared([*seen, now], cfg.words_basis), left, cfg.rounding)
+            seen.append(now)
             member, e = _groups(open_, known, cfg)
             if cfg.use_pc:
                 pred = predict(open_, cfg.model, cfg.context, labelled, r)
