@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from tplforge.functions.words import Similarity, vector
 from tplforge.schema import DEMOS
+from tplforge.session import stored
 
 
 @dataclass(frozen=True)
@@ -124,16 +125,26 @@ def context_frame(lines: DataFrame, demos: list[Demo], mode: str = "adaptive", k
     return lines.select("log_id", "words").mapInPandas(run, DEMOS)
 
 
-def adaptive_sql(lines: DataFrame, demos: DataFrame, rounds: int = 10) -> DataFrame:
-    """The cover by joins and window ranks (exact similarity), one round per choice: rank, log_id, demo."""
+def adaptive_sql(lines: DataFrame, demos: DataFrame, rounds: int | None = None) -> DataFrame:
+    """The cover by joins and window ranks (exact similarity), one round per choice: rank, log_id, demo.
+
+    Goes on until no line gains another demo. rounds: choices for which one plan is made at a time; it bounds
+    the plan and not the cover.
+    """
     from pyspark.sql import Window as W
 
     need = lines.select("log_id", F.explode(F.array_distinct("words")).alias("w"))
     have = demos.select(F.col("log_id").alias("demo"), F.explode(F.array_distinct("words")).alias("w"))
-    out = None
-    for r in range(rounds):
-        gain = need.join(have, "w").groupBy("log_id", "demo").agg(F.count("*").alias("gain"))
-        best = gain.withColumn("k", F.row_number().over(W.partitionBy("log_id").orderBy(F.desc("gain"), "demo"))).filter("k = 1").select(F.lit(r + 1).alias("rank"), "log_id", "demo")
-        out = best if out is None else out.union(best)
-        need = need.join(best.join(have, "demo").select("log_id", "w"), ["log_id", "w"], "left_anti")
-    return out
+    out, r = None, 0
+    while True:
+        part = None
+        for _ in range(max(1, rounds or 1)):
+            r += 1
+            gain = need.join(have, "w").groupBy("log_id", "demo").agg(F.count("*").alias("gain"))
+            best = gain.withColumn("k", F.row_number().over(W.partitionBy("log_id").orderBy(F.desc("gain"), "demo"))).filter("k = 1").select(F.lit(r).alias("rank"), "log_id", "demo")
+            part = best if part is None else part.union(best)
+            need = need.join(best.join(have, "demo").select("log_id", "w"), ["log_id", "w"], "left_anti")
+        part, need = stored(part, "context-picks"), stored(need, "context-need")
+        out = part if out is None else out.union(part)
+        if part.filter(F.col("rank") == r).isEmpty():
+            return out
