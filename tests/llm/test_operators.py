@@ -249,8 +249,24 @@ def test_simhash(docs, none):
     want = [(i, f"{f:016x}", c) for (i, _), f, c in zip(rows, fps, _brute_components(fps, [i for i, _ in rows]), strict=True)]
     assert sorted(tuple(r) for r in simhash.contract(docs).collect()) == want
     assert simhash.contract(none).count() == 0
-    kept = simhash.keep_one(docs)
-    assert kept.columns == docs.columns and {r["doc_id"] for r in kept.collect()} == {c for _, _, c in want}
+    assert simhash.keep_one(docs).columns == docs.columns
+
+
+def test_large_subtrees_are_dealt(spark):
+    """Subtrees cut by their next bits into pairs of nodes give the components of all pairs."""
+    rng = np.random.default_rng(5)
+    base = rng.integers(0, 1 << 63, 40, dtype=np.uint64)
+    fp = base[rng.integers(0, 40, 900)]
+    for _ in range(6):
+        fp = fp ^ np.where(rng.random(900) < 0.5, np.uint64(1) << rng.integers(0, 64, 900).astype(np.uint64), np.uint64(0))
+    fp = np.unique(fp)
+    fps = spark.createDataFrame([(x, i) for i, x in enumerate(fp.view(np.int64).tolist())], "fp long, rep long")
+    want = _brute_components(fp.tolist(), list(range(len(fp))))
+    from tplforge.llm.components import components
+
+    for limit in (3, 40, None):
+        found = {r["node"]: r["label"] for r in components(simhash.near_links(fps, 4, limit)).collect()}
+        assert [found.get(i, i) for i in range(len(fp))] == want
 
 
 def test_tries_find_what_pairs_find():
@@ -273,34 +289,113 @@ def test_mixing(spark, docs, none):
     labels = spark.createDataFrame([*rows, (999, 1, 0), (None, 1, 1), (3, None, None)], "doc_id long, quality int, toxic int")
     got = mixing.contract(docs, labels)
     assert got.count() == docs.count()
-    assert all(r["rate"] >= 0 and r["n_copies"] in (math.floor(r["rate"]), math.floor(r["rate"]) + 1) for r in got.collect())
+    for r in got.collect():
+        assert 0 <= r["rate"] <= mixing.CEILING
+        assert r["n_copies"] == 1 if abs(r["rate"] - 1) <= mixing.NEAR else r["n_copies"] in (math.floor(r["rate"]), math.floor(r["rate"]) + 1)
+        assert r["p_good"] + r["p_poor"] + r["p_toxic"] == pytest.approx(1, abs=1e-5)
     assert mixing.contract(none, labels).count() == 0
     assert mixing.contract(docs, labels.limit(0)).count() == docs.count()
     assert set(docs.columns) < set(mixing.apply_mix(docs, labels).columns)
 
 
-def test_rates_meet_targets(spark):
-    rng = random.Random(1)
-    rows = []
-    for i in range(400):
-        p = [rng.random() ** 3 for _ in range(3)]
-        rows.append((i, rng.randint(10, 300), *(x / sum(p) for x in p)))
-    s = spark.createDataFrame(rows, "doc_id long, n_words long, p_good double, p_poor double, p_toxic double")
-    fit = mixing.fit_rates(s, (0.5, 0.3, 0.2), rounds=60, pull=0.0)
-    assert fit.totals[-1] == pytest.approx(fit.target, rel=1e-2)
-    err = [float((np.square(t - fit.target) / fit.totals[0]).sum()) for t in fit.totals]
-    assert err[-1] < 1e-3 * err[0] and all(b <= a * (1 + 1e-9) for a, b in zip(err, err[1:], strict=False))
-    # a target that cannot be met does not thin what has little to do with it
-    none = mixing.fit_rates(s, (0.6, 0.4, 0.0))
-    rate = mixing.rate_column(none.errors, none.step, ["p_good", "p_poor", "p_toxic"], none.pull)
-    assert s.filter("p_toxic < 0.02").filter(rate < 0.9).count() == 0
-    assert s.filter("p_toxic > 0.9").filter(rate > 0.3).count() == 0
+def _scored(spark, n=400, seed=1, shares=(1, 1, 1)):
+    rng, names, rows = random.Random(seed), ["p_good", "p_poor", "p_toxic"], []
+    for i in range(n):
+        p = [w * rng.random() ** 3 for w in shares]
+        rows.append((i, rng.randint(0, 300), *(x / sum(p) for x in p)))
+    cells = hashed_linear.lattice(np.array([r[2:] for r in rows]), 64)
+    return spark.createDataFrame([(*r, int(c)) for r, c in zip(rows, cells, strict=True)], "doc_id long, n_words long, p_good double, p_poor double, p_toxic double, cell long"), names
+
+
+def _descent(fit, rows, names, pull=mixing.PULL, rounds=30_000):
+    """The same problem with a rate for every document's cell, by plain gradient steps over documents."""
+    n, p = np.array([r["n_words"] for r in rows], float), np.array([[r[x] for x in names] for r in rows])
+    cells, at = np.unique([r["cell"] for r in rows], return_inverse=True)
+    weight = np.bincount(at, n)
+    mean = np.stack([np.bincount(at, n * p[:, k]) for k in range(3)], axis=1) / np.maximum(weight, 1e-9)[:, None]
+    rate = np.ones(len(cells))
+    for _ in range(rounds):
+        total = (rate[at] * n) @ p
+        gap = (total - fit.target) / n.sum()
+        rate = np.clip(rate - 0.9 * (mean @ gap + pull * (rate - 1)), 0, mixing.CEILING)
+    return cells, rate, weight
+
+
+@pytest.mark.parametrize("weights", [(0.5, 0.3, 0.2), (0.6, 0.4, 0.0)])
+def test_rates_are_the_optimum(spark, weights):
+    scored, names = _scored(spark)
+    rows = scored.collect()
+    fit = mixing.fit_rates(scored, weights)
+    assert all(b <= a + 1e-12 for a, b in zip(fit.loss, fit.loss[1:], strict=False))
+    cells, rate, weight = _descent(fit, rows, names)
+    assert cells.tolist() == fit.cell.tolist()
+    assert fit.rate[weight > 0] == pytest.approx(rate[weight > 0], abs=2e-3)
+    of = dict(zip(fit.cell.tolist(), fit.rate.tolist(), strict=True))
+    assert [sum(of[r["cell"]] * r["n_words"] * r[x] for r in rows) for x in names] == pytest.approx(fit.total.tolist())
+    if weights[2]:
+        assert fit.total == pytest.approx(fit.target, rel=2e-2)
+    else:
+        assert fit.total[2] < 0.3 * fit.begun[2]
+        assert all(of[r["cell"]] > 0.9 for r in rows if r["p_toxic"] < 0.01) and all(of[r["cell"]] < 0.1 for r in rows if r["p_toxic"] > 0.8)
+
+
+def test_an_almost_empty_domain_drives_nothing(spark):
+    """A domain that holds next to nothing is asked for what it can give, and leaves the others alone."""
+    scored, names = _scored(spark, shares=(1, 1e-7, 0.02))
+    fit = mixing.fit_rates(scored)
+    assert fit.unreachable[1] > 0 and fit.target[1] == pytest.approx(mixing.CEILING * fit.begun[1])
+    assert fit.rate.max() <= mixing.CEILING and fit.total[2] < fit.begun[2]
+    good = [r["cell"] for r in scored.filter("p_toxic < 0.01").collect()]
+    of = dict(zip(fit.cell.tolist(), fit.rate.tolist(), strict=True))
+    assert good and all(0.9 < of[c] < 1.5 for c in good)
+
+
+def test_lattice():
+    rng = np.random.default_rng(2)
+    p = rng.dirichlet([0.3] * 4, 500)
+    p[:3] = [[1, 0, 0, 0], [0.25] * 4, [0, 0.5, 0.5, 0]]
+    cell = hashed_linear.lattice(p, 10)
+    point = np.stack([cell // 11**k % 11 for k in range(4)], axis=1)
+    assert (point.sum(axis=1) == 10).all() and np.abs(point / 10 - p).max() < 0.1
+    assert mixing.lattice_steps(3) == 64 and mixing.lattice_steps(20) < 10
 
 
 def test_scorer_learns_shapes():
     good, bad = ["a plain line of words here again"] * 30, ["WORD!! WORD!! LOUD!! LOUD!!"] * 30
     raw = [t.encode() for t in good + bad]
     y = np.array([[0, 1]] * 30 + [[1, 0]] * 30, float)
-    m = hashed_linear.fit(raw, y)
-    p = m.posteriors([b"other plain text in lower letters", b"NOISE!! NOISE!! MORE!!"])
-    assert p[0, 1] > 0.5 > p[1, 1]
+    m = hashed_linear.fit(hashed_linear.features(raw)[:3], y)
+    p, words = m.posteriors([b"other plain text in lower letters", b"NOISE!! NOISE!! MORE!!", b""])
+    assert p[0, 1] > 0.5 > p[1, 1] and words.tolist() == [6, 3, 0]
+
+
+def test_features_of_words_one_by_one():
+    """Presence, shapes and word counts against a plain loop over words."""
+    raw = [(t or "").encode() for t in _texts()] + ["Été 12ab #x# x# Ab aB ABC ab, (ab) AB".encode(), b"### ab ab ab"]
+    d, f, v, counts = hashed_linear.features(raw, 0.5)
+    for i, t in enumerate(raw):
+        words = t.split()
+        assert counts[i] == len(words)
+        mine = d == i
+        bare = ["".join(chr(c) for c in w.lower() if chr(c).isalnum() and c < 128 or c >= 128) for w in words]
+        present = f[mine & (f < hashed_linear.HALF)]
+        assert len(present) == len(set(present.tolist())) and len(present) <= len(set(bare) - {""}) and bool(len(present)) == any(bare)
+        shares = dict(zip((f[mine] - (hashed_linear.DIMS - len(hashed_linear.SHAPES))).tolist(), v[mine].tolist(), strict=True))
+        shares = {hashed_linear.SHAPES[k]: x for k, x in shares.items() if k >= 0}
+        assert ("short_text" in shares) == (len(words) < 10)
+        echo = sum(a == b != "" for a, b in zip(bare, bare[1:], strict=False))
+        assert shares.get("echo", 0) == pytest.approx(6.0 * echo / max(1, len(words)), abs=1e-5)
+
+
+def test_word_hashes():
+    from tplforge.llm.common import hash_words
+
+    rng = random.Random(3)
+    raw = [" ".join("".join(rng.choice("abAB\u00e9") for _ in range(rng.choice((1, 3, 7, 8, 9, 16, 17, 600)))) for _ in range(rng.randint(0, 30))).encode() for _ in range(80)]
+    raw += [b"", b" \t", b"\x0b\x0cx\x1cy\xc2\xa0z", b"a" * 5000]
+    for lower in (False, True):
+        h, counts = hash_words(raw, lower)
+        words = [(w.lower() if lower else w) for t in raw for w in t.split()]
+        assert counts.tolist() == [len(t.split()) for t in raw]
+        seen = {}
+        assert all(seen.setdefault(w, x) == x for w, x in zip(words, h.tolist(), strict=True)) and len(set(seen.values())) == len(seen)

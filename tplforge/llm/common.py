@@ -26,20 +26,60 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_made: set[str] = set()
+
+
 def scratch(spark: SparkSession, name: str) -> str:
-    """A new path in the folder that driver and executors share."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or (
-        spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
-    )
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """A new path in the folder that driver and executors share (spark.checkpoint.dir).
+
+    Where the setting is missing, a session on one machine uses its warehouse; a cluster has to name a folder,
+    because one that is local to a machine would lose rows.
+    """
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        root = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
+    path = f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    _made.add(path)
+    return path
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = scratch(spark, name)
+    return stored_at(df, scratch(df.sparkSession, name))
+
+
+def stored_at(df: DataFrame, path: str) -> DataFrame:
+    """df written to a path and read back."""
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def delete(spark: SparkSession, *paths: str) -> None:
+    """Remove stored tables, or folders of them, that nothing reads any more."""
+    for path in paths:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+        _made.discard(path)
+
+
+def forget(spark: SparkSession) -> None:
+    """Remove everything that this process has stored: for when no result is read any more."""
+    delete(spark, *list(_made))
+
+
+def fresh_names(df: DataFrame, *wanted: str) -> list[str]:
+    """Column names like the wanted ones that df does not have (whatever their case)."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in wanted:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -68,28 +108,41 @@ def raw_bytes(batch: pa.RecordBatch, column: str) -> list[bytes]:
     return [b or b"" for b in batch.column(column).cast(pa.binary()).to_pylist()]
 
 
-class WordHash(dict):
-    """word bytes -> XXH64, remembered; emptied when it has grown large."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > MEMO_ENTRIES:
-            self.clear()
-        h = self[word] = xxhash.xxh64_intdigest(word)
-        return h
-
-
-_words = WordHash()
+_BLANK = np.zeros(256, bool)
+_BLANK[[9, 10, 11, 12, 13, 32]] = True
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
+#: the lowest n bytes of a number
+_LOWEST = np.array([(1 << (8 * i)) - 1 for i in range(8)] + [(1 << 64) - 1], np.uint64)
+#: words of more bytes are hashed one by one
+_LONG = 512
 
 
-def hash_words(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Word hashes of all texts one after another, and the number of words in each.
+def hash_words(texts: list[bytes], lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hashes of the words of all texts one after another, and the number of words in each.
 
-    bytes.split() cuts at exactly the characters \\x20 and \\x09-\\x0D.
+    Words are what \\x20 and \\x09-\\x0D separate. All are hashed together, eight bytes at a time.
+    lower: A-Z count as a-z.
     """
-    look = _words.__getitem__
-    parts = [np.fromiter(map(look, t), np.uint64, len(t)) for t in (b.split() for b in texts)]
-    counts = np.fromiter(map(len, parts), np.int64, len(parts))
-    return (np.concatenate(parts) if parts else np.empty(0, np.uint64)), counts
+    n = len(texts)
+    joined = b" ".join(texts) + b" " * 9
+    buf = np.frombuffer(joined, np.uint8)
+    if lower:
+        buf = _LOWER[buf]
+        joined = buf.tobytes()
+    edge = np.flatnonzero(np.diff(_BLANK[buf].view(np.int8), prepend=np.int8(1)))
+    start, size = edge[0::2], edge[1::2] - edge[0::2]
+    counts = np.bincount(np.searchsorted(np.cumsum(np.fromiter(map(len, texts), np.int64, n) + 1), start, side="right"), minlength=n)
+    eight = np.ndarray((len(buf) - 7,), "<u8", joined, 0, (1,))
+    h = mix((eight[start] & _LOWEST[np.minimum(size, 8)]) + size.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+    for i in np.flatnonzero(size > _LONG).tolist():
+        h[i] = xxhash.xxh64_intdigest(joined[start[i] : start[i] + size[i]])
+    more, at = np.flatnonzero((size > 8) & (size <= _LONG)), 8
+    while len(more):
+        h[more] = mix(h[more] * np.uint64(0xD6E8FEB86659FD93) + (eight[start[more] + at] & _LOWEST[np.minimum(size[more] - at, 8)]))
+        at += 8
+        more = more[size[more] > at]
+    return h, counts
 
 
 def mix(x: np.ndarray) -> np.ndarray:

@@ -11,11 +11,17 @@ what small budgets link need not be compared again, because a pair of nodes whos
 leaves all belong to one component is dropped too. Only the links of a spanning
 forest leave a task: copies and near copies are never expanded into all pairs.
 
-A subtree is held as a sorted array of 8-byte numbers, its nodes as ranges of
-that array, and the pairs of a level are worked on together, in blocks of bounded size.
+A subtree of many fingerprints is dealt by its next trie bits into nodes, and every pair
+of nodes whose bits differ within the budget is work of its own (`SUBTREE` fingerprints
+at a node, about): no task holds a hot subtree. A subtree is held as a sorted array of
+8-byte numbers, its nodes as ranges of that array, and the pairs of a level are worked on
+together, in blocks of bounded size.
 
 Texts without words (null, empty, blank) have fingerprint zero and link like
-any other. Rows that repeat a doc_id are kept, each with its own fingerprint.
+any other. Rows that repeat a doc_id are kept, each with its own fingerprint. Rows without
+a doc_id are kept and link to none but those of equal fingerprint; a component's id is the least doc_id of
+the others. Fingerprints that tie are one. Texts of any length are whole sequences of shingles. An empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -29,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import byte_slices, raw_bytes, stored, texts
+from tplforge.llm.common import byte_slices, fresh_names, raw_bytes, stored, texts
 from tplforge.llm.components import components
 from tplforge.llm.similar_texts import similar_components
 
@@ -44,6 +50,8 @@ SEED = 42
 BLOCK = 1 << 18
 #: subtrees up to this size are compared leaf by leaf
 LEAVES = 8
+#: fingerprints at a node that a task takes on, and trie bits by which a larger subtree is dealt, at most
+SUBTREE, SPLIT_BITS = 1 << 16, 12
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 
 
@@ -111,9 +119,12 @@ def _popcount(x: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x).astype(np.int64)
 
 
-def _traverse(keys: np.ndarray, budget: int, forest: Forest) -> None:
-    """Link all leaf pairs within the budget, save those already in one component."""
-    stack = [(BITS - 1, np.array([[0, len(keys), 0, len(keys), 0]]))]
+def _traverse(keys: np.ndarray, budget: int, forest: Forest, top: tuple[int, np.ndarray]) -> None:
+    """Link all leaf pairs within the budget, save those already in one component.
+
+    top: the bit to begin with, and a node pair: its two ranges of keys and the bits they differ in above.
+    """
+    stack = [top]
     while stack:
         bit, pairs = stack.pop()
         if len(pairs) > BLOCK:
@@ -170,19 +181,29 @@ def _leaves(keys: np.ndarray, budget: int, forest: Forest, pairs: np.ndarray) ->
             forest.link(x[near], y[near])
 
 
-def trie_components(fp: np.ndarray, budget: int) -> np.ndarray:
-    """For distinct fingerprints: the place of the least member of each one's component."""
+def trie_components(fp: np.ndarray, budget: int, split: int = 0) -> np.ndarray:
+    """For distinct fingerprints: the place of the least member of each one's component.
+
+    split: the fingerprints are those of one or two nodes that many bits below the root; of two nodes, only pairs
+    between them are compared.
+    """
     order = np.argsort(fp)
     keys = fp[order]
-    forest = Forest(len(fp))
-    if len(fp) <= 64:
-        x, y = np.triu_indices(len(fp), 1)
-        near = _popcount(keys[x] ^ keys[y]) <= budget
+    n, forest = len(fp), Forest(len(fp))
+    mid, apart = n, 0
+    if split:
+        node = keys >> np.uint64(BITS - split)
+        if node[0] != node[-1]:
+            mid, apart = int(np.searchsorted(node, node[-1])), int(np.bitwise_count(node[0] ^ node[-1]))
+    if n <= 64:
+        x, y = np.triu_indices(n, 1)
+        near = (_popcount(keys[x] ^ keys[y]) <= budget) & ((mid == n) | ((x < mid) & (y >= mid)))
         forest.link(x[near], y[near])
     else:
-        for b in range(1, budget + 1):
-            _traverse(keys, b, forest)
-    root = np.empty(len(fp), np.int64)
+        pair = np.array([[0, n, 0, n, 0]] if mid == n else [[0, mid, mid, n, apart]])
+        for b in range(max(1, apart), budget + 1):
+            _traverse(keys, b, forest, (BITS - 1 - split, pair))
+    root = np.empty(n, np.int64)
     root[order] = order[forest.label]
     return root
 
@@ -198,39 +219,55 @@ def _rotate(x: np.ndarray, by: int) -> np.ndarray:
     return x if not by else (x >> np.uint64(by)) | (x << np.uint64(BITS - by))
 
 
-def near_links(fps: DataFrame, budget: int = LINK_BITS) -> DataFrame:
-    """fps(fp, rep), fp distinct -> links (a, b) of reps that keep the components of all pairs within the budget."""
+def _dealt(fps: DataFrame, budget: int, limit: int) -> DataFrame:
+    """block, value, split, lo, hi, fp, rep: fingerprints once per subtree and per pair of its nodes that they belong to."""
+    parts = blocks_of(budget + 1)
+    turned = lambda by: f"shiftrightunsigned(fp, {by}) | shiftleft(fp, {BITS - by})" if by % BITS else "fp"
+    places = F.array(*(F.struct(F.lit(i).alias("block"), F.expr(f"shiftrightunsigned(fp, {s}) & {(1 << w) - 1}L").alias("value"), F.expr(turned(s + w)).alias("turned")) for i, (s, w) in enumerate(parts)))
+    keyed = fps.select("fp", "rep", F.explode(places).alias("k")).select("k.block", "k.value", "k.turned", "fp", "rep")
+    bits = F.least(F.lit(SPLIT_BITS), F.ceil(F.log2(F.col("count") / limit))).cast("int")
+    large = keyed.groupBy("block", "value").count().filter(F.col("count") > limit).select("block", "value", bits.alias("split"))
+    placed = keyed.join(large, ["block", "value"], "left").withColumn("split", F.coalesce("split", F.lit(0)))
+    # shifting by 64 is shifting by 0: a subtree in one piece has node 0
+    node = F.when(F.col("split") == 0, F.lit(0).cast("long")).otherwise(F.expr(f"shiftrightunsigned(turned, {BITS} - split)"))
+    others = F.expr(f"filter(sequence(0L, shiftleft(1L, split) - 1), x -> bit_count(x ^ node) <= {budget})")
+    pairs = placed.withColumn("node", node).select("block", "value", "split", "node", "fp", "rep", F.explode(others).alias("other"))
+    return pairs.select("block", "value", "split", F.least("node", "other").alias("lo"), F.greatest("node", "other").alias("hi"), "fp", "rep")
+
+
+def near_links(fps: DataFrame, budget: int = LINK_BITS, limit: int | None = None) -> DataFrame:
+    """fps(fp, rep), fp distinct -> links (a, b) of reps that keep the components of all pairs within the budget.
+
+    limit: fingerprints of a subtree beyond which it is dealt by its next trie bits. fps is read twice.
+    """
     parts = blocks_of(budget + 1)
-    keyed = fps.select(
-        "fp",
-        "rep",
-        F.explode(F.array(*(F.struct(F.lit(i).alias("block"), F.expr(f"shiftrightunsigned(fp, {s}) & {(1 << w) - 1}L").alias("value")) for i, (s, w) in enumerate(parts)))).alias("k"),
-    ).select("k.block", "k.value", "fp", "rep")
-    dealt = keyed.repartition("block", "value").sortWithinPartitions("block", "value")
+    key_names = ["block", "value", "lo", "hi"]
+    dealt = _dealt(fps, budget, limit or SUBTREE).repartition(*key_names).sortWithinPartitions(*key_names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, np.ndarray]] = []
-        key = None
+        key, split = None, 0
 
         def linked():
             fp, rep = (np.concatenate(x) for x in zip(*held, strict=True))
             # the block that is shared comes last after the turn: what differs is decided first
-            root = trie_components(_rotate(fp.view(np.uint64), sum(parts[key[0]])), budget)
+            root = trie_components(_rotate(fp.view(np.uint64), sum(parts[key[0]])), budget, split)
             own = np.flatnonzero(root != np.arange(len(root)))
             return pa.record_batch([pa.array(rep[own]), pa.array(rep[root[own]])], names=["a", "b"])
 
         for b in batches:
-            block, value, fp, rep = (b.column(c).to_numpy(zero_copy_only=False) for c in ("block", "value", "fp", "rep"))
-            cut = np.flatnonzero((block[1:] != block[:-1]) | (value[1:] != value[:-1])) + 1
-            for lo, hi in zip([0, *cut], [*cut, len(fp)], strict=True):
-                if lo == hi:
-                    continue
-                now = (int(block[lo]), int(value[lo]))
+            if not b.num_rows:
+                continue
+            keys = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in key_names], axis=1)
+            splits, fp, rep = (b.column(c).to_numpy(zero_copy_only=False) for c in ("split", "fp", "rep"))
+            cut = [0, *(np.flatnonzero((keys[1:] != keys[:-1]).any(axis=1)) + 1).tolist(), len(fp)]
+            for lo, hi in zip(cut, cut[1:], strict=False):
+                now = tuple(keys[lo].tolist())
                 if key is not None and now != key:
                     if sum(len(x[0]) for x in held) > 1:
                         yield linked()
                     held = []
-                key = now
+                key, split = now, int(splits[lo])
                 held.append((fp[lo:hi], rep[lo:hi]))
         if key is not None and sum(len(x[0]) for x in held) > 1:
             yield linked()
@@ -238,9 +275,9 @@ def near_links(fps: DataFrame, budget: int = LINK_BITS) -> DataFrame:
     return dealt.mapInArrow(run, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", budget: int = LINK_BITS) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", budget: int = LINK_BITS, shingle: int = SHINGLE) -> DataFrame:
     """doc_id, fp and component_id (the least doc_id that links lead to) of every row."""
-    seen = stored(fingerprint_table(docs, id_col, text_col), "simhash")
+    seen = stored(fingerprint_table(docs, id_col, text_col, shingle), "simhash")
     fps = stored(seen.groupBy("fp").agg(F.min("doc_id").alias("rep")), "simhash-distinct")
     links = near_links(fps.filter("rep IS NOT NULL"), budget)
     found = components(links, "simhash-components")
@@ -253,12 +290,14 @@ def contract(docs: DataFrame) -> DataFrame:
     return near_duplicates(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, shingle: int = STAGE_SHINGLE, similarity: float = STAGE_SIMILARITY) -> DataFrame:
-    """docs with the least doc_id of each component (each of its rows with distinct content once).
+def keep_one(docs: DataFrame, shingle: int = STAGE_SHINGLE, similarity: float = STAGE_SIMILARITY, budget: int = LINK_BITS) -> DataFrame:
+    """docs with the document of the least doc_id of each component of near copies.
 
-    Components of texts with that share of shingles in common. Fingerprints cannot serve here: at 0.8
-    they differ in about 10 of 64 bits and often in more, and blocks of a budget that misses none
-    are too short to divide the rows. So pairs come from an exact join.
+    Near copies share that much of their shingles. The trie's links are candidates for it; at 0.8 fingerprints
+    differ in about 10 of 64 bits and often in more, and blocks of a budget that misses none are too short to
+    divide the rows, so an exact join completes them (`similar_texts`). Rows without a doc_id stay as they are,
+    and so do all rows of a doc_id that stays.
     """
-    found = similar_components(docs, shingle, similarity).filter("doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    return docs.join(found, docs["doc_id"] == F.col("__kept"), "left_semi")
+    gone = similar_components(docs, shingle, similarity, budget).filter("doc_id <> component_id")
+    key = fresh_names(docs, "kept")[0]
+    return docs.join(gone.select(F.col("doc_id").alias(key)).distinct(), docs["doc_id"] == F.col(key), "left_anti")
