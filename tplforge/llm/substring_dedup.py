@@ -2,7 +2,9 @@
 
 A document is parsed against all text that comes before it (smaller doc_id, or
 earlier in the document): a factor is a run of words copied from one place of
-an earlier text, and factors of at least `window` words are duplicate spans.
+an earlier text. The parse goes from left to right: where a copy begins, the match
+that reaches furthest becomes the factor, and the parse goes on behind it. Factors of
+at least `window` words are the duplicate spans; what they cover is removed.
 
 The reference is indexed in blocks, dealt by hash, that hold *seeds*: in every
 window the k-gram with the least hash. Equal windows have equal seeds, so a
@@ -10,21 +12,25 @@ document meets all blocks that could hold a copy of it, and only those. The
 windows that one seed stands for form a run; its *context* is the hash of all
 words the run touches.
   1. A seed found once in the corpus has no copies: most seeds end here.
-  2. Equal contexts are equal runs: all but the earliest are factors as they stand.
+  2. Equal contexts are equal runs: all but the earliest match as they stand.
   3. Where one seed has several contexts, copies reach over some windows of a run
      and not over others - the boundaries of factors. There the windows of the
      earliest run of each context are looked up one by one.
-Each document then joins its runs and windows greedily into factors (consecutive
-in the document and in the source). The outcome is exact: windows are compared
-by 128 bits of hash.
+Each document joins its matches along their diagonals (consecutive in the document and
+in the source) and parses itself by them. The outcome is exact: windows are compared
+by 128 bits of hash, and a window that crosses from one factor into the next was looked
+up like any other.
 
 Counts are reduced before they are shuffled and occurrences are only ever joined,
 never gathered by seed, so a passage in a third of all documents has no one task.
-What a task holds at a time is one document's runs.
+What a task holds at a time is one document's matches, of which there are no more than
+it has windows.
 
-Null and empty texts have no words and stay as they are. doc_id is meant to be
+Null and empty texts have no words and stay as they are. Very long texts are parsed whole.
+Of equal spans the one of the least doc_id, then of the first place, stays. doc_id is meant to be
 unique; rows that repeat one are parsed as one document would be that holds either
-text, and each keeps its own row. An empty table gives an empty result.
+text, and each keeps its own row. Rows without a doc_id are neither cut nor a source. An empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -37,7 +43,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import FIRST, SECOND, byte_slices, hash_words, mix, raw_bytes, stored, texts
+from tplforge.llm.common import FIRST, SECOND, byte_slices, delete, fresh_names, hash_words, mix, raw_bytes, scratch, stored, stored_at, texts
 
 WINDOW = 20
 GRAM = 8
@@ -111,44 +117,69 @@ def _windows(docs: DataFrame, checks: DataFrame, window: int) -> DataFrame:
     return joined.select("doc_id", "text", "runs").mapInArrow(run, "wa long, wb long, doc_id long, start int")
 
 
-def factor_runs(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+def matches(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """doc_id, start, n, src_id, src_start: windows start..start+n-1 copy those from src_start of the earlier text."""
+    spark, docs = docs.sparkSession, docs.filter("doc_id IS NOT NULL")
+    root = scratch(spark, "substring")
     all_seeds = seeds(docs, window, gram)
     # counts are stored before they are joined: both sides of each join are then plain exchanges, which
     # adaptive execution splits where a seed or window is hot
-    shared = stored(all_seeds.groupBy("seed").agg(F.count("*").alias("times")).filter("times > 1").select("seed"), "substring-shared")
-    found = stored(all_seeds.join(shared, "seed"), "substring-seeds")
+    shared = stored_at(all_seeds.groupBy("seed").agg(F.count("*").alias("times")).filter("times > 1").select("seed"), f"{root}/shared")
+    found = stored_at(all_seeds.join(shared, "seed"), f"{root}/seeds")
     by_context = found.groupBy("seed", "context").agg(F.min(F.struct("doc_id", "start", "n")).alias("src"), F.count("*").alias("times"))
-    by_context = stored(by_context, "substring-contexts")
+    by_context = stored_at(by_context, f"{root}/contexts")
     copied = by_context.filter("times > 1").select("seed", "context", F.col("src.doc_id").alias("src_id"), F.col("src.start").alias("src_start"))
     whole = found.join(copied, ["seed", "context"]).filter("doc_id <> src_id OR start <> src_start").select("doc_id", "start", "n", "src_id", "src_start")
     # a seed with several contexts: their windows one by one
-    several = stored(by_context.groupBy("seed").agg(F.count("*").alias("contexts")).filter("contexts > 1").select("seed"), "substring-several")
+    several = stored_at(by_context.groupBy("seed").agg(F.count("*").alias("contexts")).filter("contexts > 1").select("seed"), f"{root}/several")
     checks = by_context.join(several, "seed").select("src.doc_id", "src.start", "src.n")
-    windows = stored(_windows(docs, checks, window), "substring-windows")
+    windows = stored_at(_windows(docs, checks, window), f"{root}/windows")
     earliest = windows.groupBy("wa", "wb").agg(F.min(F.struct("doc_id", "start")).alias("src"), F.count("*").alias("times")).filter("times > 1")
-    earliest = stored(earliest.select("wa", "wb", F.col("src.doc_id").alias("src_id"), F.col("src.start").alias("src_start")), "substring-earliest")
+    earliest = stored_at(earliest.select("wa", "wb", F.col("src.doc_id").alias("src_id"), F.col("src.start").alias("src_start")), f"{root}/earliest")
     single = windows.join(earliest, ["wa", "wb"]).filter("doc_id <> src_id OR start <> src_start").select("doc_id", "start", F.lit(1).alias("n"), "src_id", "src_start")
-    return whole.unionByName(single)
+    out = stored(whole.unionByName(single), "substring-matches")
+    delete(spark, root)
+    return out
 
 
-def greedy_factors(start: np.ndarray, n: np.ndarray, src: np.ndarray, src_start: np.ndarray, window: int):
-    """Sorted runs joined while both sides go on without a gap: lists of (start, length in words, src, src_start)."""
-    order = np.lexsort((n, start))
-    out: list[list[int]] = []
-    for i in order.tolist():
-        s, m, d, t = int(start[i]), int(n[i]), int(src[i]), int(src_start[i])
-        if out and out[-1][2] == d and out[-1][3] - out[-1][0] == t - s and s <= out[-1][0] + out[-1][1] - window + 1:
-            out[-1][1] = max(out[-1][1], s + m - 1 + window - out[-1][0])
+def parse(start: np.ndarray, n: np.ndarray, src: np.ndarray, src_start: np.ndarray, window: int) -> list[tuple[int, int, int, int]]:
+    """The greedy factors of one document, from its matches (n windows each): start, length in words, source, its start."""
+    # matches on one diagonal that touch or overlap are one
+    order = np.lexsort((start, src_start - start, src))
+    start, end, src, shift = start[order], (start + n)[order], src[order], (src_start - start)[order]
+    reach = end.copy()
+    new = np.ones(len(start), bool)
+    lines = np.append(np.flatnonzero((src[1:] != src[:-1]) | (shift[1:] != shift[:-1])) + 1, len(start))
+    at = 0
+    for to in lines.tolist():
+        np.maximum.accumulate(end[at:to], out=reach[at:to])
+        new[at + 1 : to] = start[at + 1 : to] > reach[at : to - 1]
+        at = to
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(start)) - 1
+    begin, stop, src, shift = start[first], reach[last], src[first], shift[first]
+    # from left to right: of the matches that cover the next copied window, the one that reaches furthest
+    out, at, here, best = [], 0, 0, None
+    order = np.lexsort((shift, src, -stop, begin)).tolist()
+    while True:
+        while at < len(order) and begin[order[at]] <= here:
+            i = order[at]
+            at += 1
+            if best is None or (stop[i], -src[i], -shift[i]) > (stop[best], -src[best], -shift[best]):
+                best = i
+        if best is not None and stop[best] > here:
+            out.append((int(here), int(stop[best] - here + window - 1), int(src[best]), int(here + shift[best])))
+            here = int(stop[best])
+        elif at < len(order):
+            here = int(begin[order[at]])
         else:
-            out.append([s, m - 1 + window, d, t])
-    return out
+            return out
 
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """doc_id, text, kept_text (kept words joined by one space), n_words, n_removed, factors of every row."""
     docs = texts(docs, id_col, text_col)
-    runs = factor_runs(docs, window, gram)
+    runs = matches(docs, window, gram)
     listed = runs.groupBy("doc_id").agg(F.collect_list(F.struct("start", "n", "src_id", "src_start")).alias("runs"))
     joined = docs.join(listed, "doc_id", "left").select("doc_id", "text", "runs")
 
@@ -165,14 +196,15 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", windo
                     removed.append(0)
                     factors.append([])
                     continue
-                start, n, src, at = (found.field(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("start", "n", "src_id", "src_start"))
-                edge = np.zeros(len(words) + 1, np.int64)
-                np.add.at(edge, start, 1)
-                np.add.at(edge, np.minimum(start + n - 1 + window, len(words)), -1)
-                keep = np.cumsum(edge[:-1]) <= 0
-                kept.append(b" ".join([words[j] for j in np.flatnonzero(keep).tolist()]).decode())
-                removed.append(int(len(words) - keep.sum()))
-                factors.append([{"start": s, "length": m, "src_id": d, "src_start": t} for s, m, d, t in greedy_factors(start, n, src, at, window)])
+                parsed = parse(*(found.field(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("start", "n", "src_id", "src_start")), window)
+                left, at = [], 0
+                for s, m, _, _ in parsed:
+                    left += words[at:s]
+                    at = max(at, s + m)
+                left += words[at:]
+                kept.append(b" ".join(left).decode())
+                removed.append(len(words) - len(left))
+                factors.append([{"start": s, "length": m, "src_id": d, "src_start": t} for s, m, d, t in parsed])
             yield pa.record_batch(
                 [b.column("doc_id"), b.column("text"), pa.array(kept, pa.string()), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(factors, _FACTORS)],
                 names=["doc_id", "text", "kept_text", "n_words", "n_removed", "factors"],
@@ -189,11 +221,16 @@ def contract(docs: DataFrame) -> DataFrame:
 
 
 def cut_repeats(docs: DataFrame) -> DataFrame:
-    """docs with repeated spans cut out; documents that are nothing but repeats go. doc_id is taken as unique."""
-    cut = dedup(docs).filter("n_removed > 0").select(F.col("doc_id").alias("__id"), F.col("kept_text").alias("__text"))
-    joined = docs.join(cut, docs["doc_id"] == F.col("__id"), "left").filter("__id IS NULL OR __text <> ''")
-    text = F.coalesce("__text", docs["text"])
-    new = {"text": text, "n_chars": F.when(F.col("__id").isNull(), docs["n_chars"]).otherwise(F.length(text).cast("long"))}
+    """docs with repeated spans cut out; documents that are nothing but repeats go. doc_id is taken as unique.
+
+    Where docs has a column n_chars, it is counted anew for what was cut.
+    """
+    key, left = fresh_names(docs, "cut_id", "cut_text")
+    cut = dedup(docs).filter("n_removed > 0").select(F.col("doc_id").alias(key), F.col("kept_text").alias(left))
+    joined = docs.join(cut, docs["doc_id"] == F.col(key), "left").filter(F.col(key).isNull() | (F.col(left) != ""))
+    new = {"text": F.coalesce(F.col(left), docs["text"])}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.when(F.col(key).isNull(), docs["n_chars"]).otherwise(F.length(left)).cast(docs.schema["n_chars"].dataType)
     return joined.select(*(new.get(c, docs[c]).alias(c) for c in docs.columns))
 
 
