@@ -1,13 +1,16 @@
 """Token counts: lengths of encoded texts, without the encodings.
 
-A byte-level BPE never merges across the change from a non-space to a space,
-so a text may be cut in front of every run of ASCII white space. Long texts
-are cut there, the pieces met before are looked up, and only new pieces go to
-the tokenizer, in batches balanced by bytes. Texts with white space outside
-ASCII (where a run may mix both kinds) are encoded whole.
+A byte-level BPE never merges across the change from a non-space to a space, whatever
+space it is, so a text may be cut in front of every run of white space. Long texts
+are cut there, short pieces met before are looked up, and only new pieces go to
+the tokenizer, in batches balanced by bytes. What is remembered is bounded in
+bytes. (Four control characters that some engines count as white space and others
+do not are never cut at.)
 
 Null and empty texts have 0 bytes and 0 tokens. Every row is kept, repeated
-doc_ids included. A piece without any white space is encoded as it is, however long.
+doc_ids and rows without one included; equal texts have equal counts. A piece without
+any white space is encoded as it is, however long, and not remembered. An empty table gives an
+empty result.
 """
 
 from __future__ import annotations
@@ -20,12 +23,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import MEMO_ENTRIES, byte_slices, texts
+from tplforge.llm.common import byte_slices, texts
 
-BATCH_BYTES = 256 << 10
+BATCH_BYTES = 1 << 20
+#: pieces of at most SHORT characters are remembered, in MEMO_BYTES bytes, at ENTRY_BYTES beside the characters
+SHORT, MEMO_BYTES, ENTRY_BYTES = 64, 96 << 20, 160
 SCHEMA = "doc_id long, n_bytes long, n_tokens long"
-_PIECES = re.compile(r"[ \t\n\r\x0b\x0c]*[^ \t\n\r\x0b\x0c]+|[ \t\n\r\x0b\x0c]+")
-_WIDE_SPACE = re.compile(r"[\x1c-\x1f\x85\xa0  -     　]")
+#: white space of the tokenizer's patterns, and characters that only other engines take for it (fixed values)
+_SPACES, _DOUBTFUL = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000", r"\x1c-\x1f"
+_PIECES = re.compile(f"[{_SPACES}]*[^{_SPACES}]+|[{_SPACES}]+")
+_CUTS = re.compile(f"(?<=[^{_SPACES}{_DOUBTFUL}])(?=[{_SPACES}])")
+_HAS_DOUBTFUL = re.compile(f"[{_DOUBTFUL}]")
 _loaded: dict[str, object] = {}
 
 
@@ -48,29 +56,37 @@ def _tokenizer(path: str):
 
 
 class PieceCounts:
-    """piece -> number of tokens; new pieces are encoded in batches of BATCH_BYTES."""
+    """Short piece -> number of tokens; new pieces are encoded in batches of about BATCH_BYTES."""
 
     def __init__(self, tokenizer):
-        self.tk, self.known = tokenizer, {}
+        self.tk, self.known, self.held = tokenizer, {}, 0
 
-    def learn(self, pieces: list[str]) -> None:
-        batch, size = [], 0
+    def encode(self, pieces: list[str]) -> list[int]:
+        out, batch, size = [], [], 0
         for p in [*pieces, None]:
-            if batch and (p is None or size + len(p) > BATCH_BYTES):
-                for piece, e in zip(batch, self.tk.encode_batch_fast(batch, add_special_tokens=False), strict=True):
-                    self.known[piece] = len(e)
+            if batch and (p is None or size + len(p) > BATCH_BYTES // 4):  # a character has 4 bytes at most
+                out += [len(e) for e in self.tk.encode_batch_fast(batch, add_special_tokens=False)]
                 batch, size = [], 0
             if p is not None:
                 batch.append(p)
                 size += len(p)
+        return out
 
     def count(self, texts: list[str]) -> list[int]:
-        if len(self.known) > MEMO_ENTRIES:
+        if self.held > MEMO_BYTES:
             self.known.clear()
-        cut = [[t] if _WIDE_SPACE.search(t) else _PIECES.findall(t) for t in texts]
-        self.learn(list({p for pieces in cut for p in pieces if p not in self.known}))
-        look = self.known.__getitem__
-        return [sum(map(look, pieces)) for pieces in cut]
+            self.held = 0
+        cut = [(_CUTS.split if _HAS_DOUBTFUL.search(t) else _PIECES.findall)(t) for t in texts]
+        new = list({p for pieces in cut for p in pieces if p not in self.known})
+        now = dict(zip(new, self.encode(new), strict=True))
+        keep = {p: n for p, n in now.items() if len(p) <= SHORT}
+        self.known.update(keep)
+        self.held += sum(map(len, keep)) * 4 + len(keep) * ENTRY_BYTES
+        now = {p: n for p, n in now.items() if len(p) > SHORT}
+        if not now:
+            look = self.known.__getitem__
+            return [sum(map(look, pieces)) for pieces in cut]
+        return [sum(self.known[p] if p in self.known else now[p] for p in pieces) for pieces in cut]
 
 
 def count_tokens(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
