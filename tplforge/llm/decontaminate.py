@@ -7,10 +7,11 @@ texts; around each hit, Myers' bit-parallel distance verifies the item.
 
 Texts and items are compared in lower case, with runs of white space as one
 space. Items of any number are worked through in blocks whose size is bounded
-(`block_chars`), each against all documents. The items shorter than `least`
-characters are matched without edits; empty and null items match nothing.
-Null and empty documents contain nothing. Rows and items that repeat are judged
-alike, each on its own.
+(`block_chars`), each against all documents. An item's budget is the whole part of `share` of its
+characters, so items of under 20 are matched without edits at the default; empty and null items match nothing.
+Null and empty documents contain nothing. Very long documents are searched whole.
+Rows and items that repeat are judged alike, each on its own; rows without a doc_id too (`drop_contaminated`,
+which names documents by it, keeps them). Of several places of an item the least distance counts.
 """
 
 from __future__ import annotations
@@ -24,10 +25,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import byte_slices, texts
+from tplforge.llm.common import byte_slices, fresh_names, texts
 
 EDIT_SHARE = 0.05
-LEAST = 40
 BLOCK_CHARS = 8 << 20
 SCHEMA = "doc_id long, items array<long>, edits array<int>"
 
@@ -36,8 +36,8 @@ def normal(text: str) -> str:
     return " ".join(text.lower().split())
 
 
-def budget(length: int, share: float = EDIT_SHARE, least: int = LEAST) -> int:
-    return int(length * share) if length >= least else 0
+def budget(length: int, share: float = EDIT_SHARE) -> int:
+    return int(length * share)
 
 
 def pieces(item: str, edits: int) -> list[tuple[int, str]]:
@@ -75,11 +75,11 @@ def myers(pattern: str, text: str, most: int) -> int | None:
 class Matcher:
     """The pieces of a block of items in one automaton."""
 
-    def __init__(self, items: list[tuple[int, str]], share: float = EDIT_SHARE, least: int = LEAST):
+    def __init__(self, items: list[tuple[int, str]], share: float = EDIT_SHARE):
         import ahocorasick
 
         self.items = {i: normal(t) for i, t in items}
-        self.edits = {i: budget(len(t), share, least) for i, t in self.items.items()}
+        self.edits = {i: budget(len(t), share) for i, t in self.items.items()}
         places = defaultdict(list)
         for i, t in self.items.items():
             for at, piece in pieces(t, self.edits[i]):
@@ -138,7 +138,7 @@ def item_blocks(items: DataFrame, id_col: str, text_col: str, block_chars: int)
         yield block
 
 
-def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", share: float = EDIT_SHARE, least: int = LEAST, block_chars: int = BLOCK_CHARS) -> DataFrame:
+def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", share: float = EDIT_SHARE, block_chars: int = BLOCK_CHARS) -> DataFrame:
     """doc_id, items (ids found, ascending) and edits (of each) for every row of docs in which something was found."""
     docs = texts(docs, id_col, text_col).filter("text IS NOT NULL")
     sc = docs.sparkSession.sparkContext
@@ -147,7 +147,7 @@ def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_c
         held = sc.broadcast(block)  # at most block_chars characters, or one item
 
         def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            matcher = Matcher(held.value, share, least)
+            matcher = Matcher(held.value, share)
             for b in byte_slices(batches, "text"):
                 found = [matcher.find(t) for t in b.column("text").to_pylist()]
                 at = [i for i, f in enumerate(found) if f]
@@ -174,5 +174,7 @@ def contract(docs: DataFrame, items: DataFrame) -> DataFrame:
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame) -> DataFrame:
-    found = find_items(docs, items).select(F.col("doc_id").alias("__found")).distinct()
-    return docs.join(found, docs["doc_id"] == F.col("__found"), "left_anti")
+    """docs without those in which an item was found; every row of such a doc_id goes."""
+    key = fresh_names(docs, "found")[0]
+    found = find_items(docs, items).select(F.col("doc_id").alias(key)).distinct()
+    return docs.join(found, docs["doc_id"] == F.col(key), "left_anti")
