@@ -5,48 +5,54 @@ word falls back to the longest n for which some of its n-grams (of the word
 between boundary marks) were met, and scores their mean log frequency minus a
 charge for each step back. A text's score is the sum over its words.
 
-Fitted on a bounded, documented sample of labelled rows (`fit_rows`). A text
-that is null or has no letter is `und` with score 0; with no labelled rows
-every text is `und`. Rows are judged one by one.
+Words are runs of letters (Unicode category L, with the marks that follow them).
+Fitted on a bounded, documented sample of labelled rows (`fit_rows`), whose words are
+counted on the executors: what reaches the driver is the counts. A text that is null or
+has no letter is `und` with score 0; with no labelled rows every text is `und`. Texts
+of any length are judged whole. Rows are judged one by one, repeated doc_ids and rows
+without one included; languages that tie go to the first by name. An empty table gives
+an empty result. Columns of other names play no part.
 """
 
 from __future__ import annotations
 
 import math
-import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import MEMO_ENTRIES, byte_slices
+from tplforge.llm.common import MEMO_ENTRIES, byte_slices, texts
 from tplforge.llm.hashed_linear import sample_rows
 
 FIT_ROWS = 6000
 LONGEST = 4
 MIN_COUNT = 3
 STEP_BACK = 0.5
-_RUNS = re.compile(r"[^\W\d_]+")
+_RUNS = regex.compile(r"\p{L}[\p{L}\p{M}]*")
 
 
 @dataclass
 class Model:
     langs: list[str]
     words: dict[str, tuple[float, ...]]
-    grams: list[dict[str, tuple[float, ...]]]  # by length, from 1
+    grams: list[dict[str, int]]  # by length, from 1: place in the table of that length
+    tables: list[np.ndarray]
 
     def word(self, w: str) -> np.ndarray:
         if (known := self.words.get(w)) is not None:
             return np.array(known)
         marked = f"<{w}>"
         for n in range(LONGEST, 0, -1):
-            found = [g for i in range(len(marked) - n + 1) if (g := self.grams[n - 1].get(marked[i : i + n])) is not None]
+            look = self.grams[n - 1].get
+            found = [g for i in range(len(marked) - n + 1) if (g := look(marked[i : i + n])) is not None]
             if found:
-                return np.mean(found, axis=0) - STEP_BACK * (LONGEST + 1 - n)
+                return self.tables[n - 1][found].sum(axis=0) / len(found) - STEP_BACK * (LONGEST + 1 - n)
         return np.zeros(len(self.langs))
 
 
@@ -58,13 +64,21 @@ def _frequencies(counts: list[Counter], least: int) -> dict[str, tuple[float, ..
     return {w: tuple(math.log((c[w] + 0.05) / t) for c, t in zip(counts, totals, strict=True)) for w, n in names.items() if n >= least}
 
 
-def fit(rows: list[tuple[str, str]]) -> Model:
-    """rows: (lang, text)"""
-    langs = sorted({x for x, _ in rows})
+def word_counts(found: list[tuple[str, str]]) -> Counter:
+    """(language, word) -> occurrences in found, pairs of language and text."""
+    out = Counter()
+    for lang, text in found:
+        out.update((lang, w) for w in _RUNS.findall(text.lower()))
+    return out
+
+
+def model_of(counts: Counter) -> Model:
+    """The model of word_counts."""
+    langs = sorted({x for x, _ in counts})
     words = {x: Counter() for x in langs}
-    for lang, text in rows:
-        words[lang].update(_RUNS.findall(text.lower()))
-    grams = []
+    for (x, w), n in counts.items():
+        words[x][w] += n
+    grams, tables = [], []
     for n in range(1, LONGEST + 1):
         by = []
         for x in langs:
@@ -74,22 +88,39 @@ def fit(rows: list[tuple[str, str]]) -> Model:
                 for i in range(len(m) - n + 1):
                     c[m[i : i + n]] += k
             by.append(c)
-        grams.append(_frequencies(by, 1))
-    return Model(langs, _frequencies([words[x] for x in langs], MIN_COUNT), grams)
+        known = _frequencies(by, 1)
+        grams.append({g: i for i, g in enumerate(known)})
+        tables.append(np.array(list(known.values())).reshape(len(known), len(langs)))
+    return Model(langs, _frequencies([words[x] for x in langs], MIN_COUNT), grams, tables)
+
+
+def fit(rows: DataFrame) -> Model:
+    """rows(x, t): language and text of a bounded sample; its words are counted before they reach the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in byte_slices(batches, "t"):
+            c = word_counts(list(zip(b.column("x").to_pylist(), b.column("t").to_pylist(), strict=True)))
+            yield pa.record_batch([pa.array([k[0] for k in c], pa.string()), pa.array([k[1] for k in c], pa.string()), pa.array(list(c.values()), pa.int64())], names=["x", "w", "n"])
+
+    got = rows.mapInArrow(run, "x string, w string, n long").groupBy("x", "w").agg(F.sum("n").alias("n")).toArrow()
+    return model_of(Counter({(x, w): n for x, w, n in zip(*(got[c].to_pylist() for c in ("x", "w", "n")), strict=True)}))
 
 
 class TokenScores(dict):
-    """raw token -> number of its row in the score table; row 0 is for tokens without letters."""
+    """raw token -> number of its row in `table`; row 0 is for tokens without letters."""
 
     def __init__(self, model: Model):
-        self.model, self.rows = model, [np.zeros(len(model.langs))]
+        self.model, self.rows, self.table = model, 1, np.zeros((1 << 12, max(1, len(model.langs))))
 
     def __missing__(self, token: str) -> int:
         runs = _RUNS.findall(token.lower())
         n = 0
         if runs:
-            n = len(self.rows)
-            self.rows.append(sum(self.model.word(w) for w in runs))
+            n = self.rows
+            self.rows += 1
+            if n >= len(self.table):
+                self.table = np.concatenate([self.table, np.zeros_like(self.table)])
+            self.table[n, : len(self.model.langs)] = sum(self.model.word(w) for w in runs)
         self[token] = n
         return n
 
@@ -97,14 +128,13 @@ class TokenScores(dict):
 def predict_texts(scores: TokenScores, found: list[str]) -> tuple[list[str], np.ndarray]:
     look = scores.__getitem__
     ids = [np.fromiter(map(look, t), np.int64, len(t)) for t in (x.split() for x in found)]
-    table = np.array(scores.rows)
     lang, p = [], np.zeros(len(found))
     for i, x in enumerate(ids):
         x = x[x > 0]
         if not len(x) or not scores.model.langs:
             lang.append("und")
             continue
-        s = table[x].sum(axis=0)
+        s = scores.table[x].sum(axis=0)
         j = int(s.argmax())
         lang.append(scores.model.langs[j])
         p[i] = 1 / np.exp(s - s[j]).sum()
@@ -113,9 +143,8 @@ def predict_texts(scores: TokenScores, found: list[str]) -> tuple[list[str], np.
 
 def identify(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", fit_rows: int = FIT_ROWS) -> DataFrame:
     """doc_id, lang_pred, score of every row of docs, learnt from at most about fit_rows of `labelled`."""
-    known = labelled.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("x")).filter("x IS NOT NULL AND t IS NOT NULL")
-    rows = [(r["x"], r["t"]) for r in sample_rows(known, "i", fit_rows).collect()]
-    held = docs.sparkSession.sparkContext.broadcast(fit(rows))
+    known = labelled.select(F.col(id_col).alias("i"), F.col(text_col).cast("string").alias("t"), F.col(lang_col).cast("string").alias("x")).filter("x IS NOT NULL AND t IS NOT NULL")
+    held = docs.sparkSession.sparkContext.broadcast(fit(sample_rows(known, "i", fit_rows).select("x", "t")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scores = TokenScores(held.value)
@@ -125,10 +154,11 @@ def identify(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_
             lang, p = predict_texts(scores, [t or "" for t in b.column("text").to_pylist()])
             yield pa.record_batch([b.column("doc_id"), pa.array(lang, pa.string()), pa.array(p)], names=["doc_id", "lang_pred", "score"])
 
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
+    return texts(docs, id_col, text_col).mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
 def contract(docs: DataFrame) -> DataFrame:
-    out = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2
-    found = identify(docs, docs.filter(~out))
-    return found.select("doc_id", out.alias("held_out"), "lang_pred", F.round("score", 9).alias("score"))
+    """Learnt from rows that are not held out; a row without a doc_id is neither held out nor learnt from."""
+    rest = lambda c: F.pmod(F.crc32(c.cast("string")), F.lit(4))
+    found = identify(docs, docs.filter(rest(F.col("doc_id")) != 2))
+    return found.select("doc_id", F.coalesce(rest(F.col("doc_id")) == 2, F.lit(False)).alias("held_out"), "lang_pred", F.round("score", 9).alias("score"))
