@@ -70,7 +70,7 @@ def test_token_counts(docs, none):
     from tokenizers import Tokenizer
 
     tk = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    odd = ["a\u00a0 b  c\n\n d ", "don't <|endoftext|> stop<|endoftext|>", "  lead", "trail  ", "tab\t\ttab", "é ü\u2003x", "a\u3000\n", "1234 5,6", "\x1c \x1f", "\U0001f600 ok"]
+    odd = ["w\u00a0 x\u2003\u2003y \u3000z!\u00a0?", "a\x1cb !\x1d ? \x1e\x1f  q", "q" * 70 + " " + "r" * 70 + "\u00a0" + "s" * 70, "a\u00a0 b  c\n\n d ", "don't <|endoftext|> stop<|endoftext|>", "  lead", "trail  ", "tab\t\ttab", "é ü\u2003x", "a\u3000\n", "1234 5,6", "\x1c \x1f", "\U0001f600 ok"]
     more = docs.sparkSession.createDataFrame([_doc(1000 + i, t) for i, t in enumerate(odd)], SCHEMA)
     for r in token_counts.contract(docs.union(more)).join(docs.union(more).select("doc_id", "text"), "doc_id").collect():
         t = r["text"] or ""
@@ -123,6 +123,7 @@ def test_decontamination(spark, docs):
     item = " ".join(rng.choice(WORDS) + str(rng.randrange(99)) for _ in range(20))
     items = spark.createDataFrame([(1, item), (2, None), (3, ""), (4, item), (5, "short one"), (6, "Q" * 60)], "item_id long, text string")
     e = decontaminate.budget(len(item))
+    assert [decontaminate.budget(n) for n in (0, 19, 20, 39, 40)] == [0, 0, 1, 1, 2]
     rows = [(0, "x " + item.upper() + " y"), (1, "p " + item.replace("1", "7", e)), (2, item[5:]), (3, item[e + 1 :]), (4, None), (5, "a  short\n ONE b"), (6, item[: len(item) // 2])]
     d = spark.createDataFrame(rows, "doc_id long, text string").union(docs.select(F.col("doc_id") + 100, "text"))
     got = {r["doc_id"]: r for r in decontaminate.contract(d, items).collect()}
@@ -221,6 +222,65 @@ def test_language_id(spark):
     assert all(0 <= r["score"] <= 1 for r in got.values()) and got[500]["score"] == 0
     assert language_id.contract(d.limit(0)).count() == 0
     assert {r["lang_pred"] for r in language_id.identify(d, d.limit(0)).collect()} == {"und"}
+    odd = spark.createDataFrame([(1, "\u00b2 \u00bd \u2460 \u2167"), (2, "der \u00b2"), (None, "stein"), (4, "stein " * 30_000)], "doc_id int, text string").withColumn("lang", F.lit(None).cast("string"))
+    got = {r["doc_id"]: r for r in language_id.identify(odd, d).collect()}
+    assert got[1]["lang_pred"] == "und" and got[1]["score"] == 0 and [got[i]["lang_pred"] for i in (2, None, 4)] == ["de"] * 3
+
+
+def test_language_scores_by_hand(spark):
+    """Every text's score worked out again, word by word, from counts of the training rows."""
+    rng = random.Random(12)
+    alphabet = {"a": "abcdé", "b": "bcdeü", "c": "cdefß"}
+    rows = [(i, " ".join("".join(rng.choice(alphabet[x]) for _ in range(rng.randint(1, 4))) for _ in range(12)) + " 12 x_", x) for i in range(90) for x in ["abc"[i % 3]]]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    import zlib
+
+    words = collections.defaultdict(collections.Counter)
+    for i, t, x in rows:
+        if zlib.crc32(str(i).encode()) % 4 != 2:
+            words[x].update(w for w in t.replace("x_", "x").split() if w.isalpha())
+    langs, all_words = sorted(words), collections.Counter()
+    for c in words.values():
+        all_words.update(c)
+
+    def logs(tables, key):
+        return [math.log((t[key] + 0.05) / (sum(t.values()) + 1)) for t in tables]
+
+    grams = {}
+    for n in range(1, 5):
+        grams[n] = []
+        for x in langs:
+            c = collections.Counter()
+            for w, k in words[x].items():
+                for i in range(len(w) + 3 - n):
+                    c[f"<{w}>"[i : i + n]] += k
+            grams[n].append(c)
+
+    def score(w):
+        if all_words[w] >= 3:
+            return logs([words[x] for x in langs], w)
+        for n in range(4, 0, -1):
+            hits = [g for i in range(len(w) + 3 - n) if any(t[(g := f"<{w}>"[i : i + n])] for t in grams[n])]
+            if hits:
+                return [sum(v) / len(hits) - 0.5 * (5 - n) for v in zip(*(logs(grams[n], g) for g in hits), strict=True)]
+        return [0.0] * len(langs)
+
+    unseen = 0
+    for r in language_id.contract(d).join(d.select("doc_id", "text"), "doc_id").collect():
+        ws = [w for w in r["text"].replace("x_", "x").split() if w.isalpha()]
+        unseen += sum(all_words[w] < 3 for w in ws)
+        total = [sum(v) for v in zip(*map(score, ws), strict=True)]
+        best = max(total)
+        assert r["lang_pred"] == langs[total.index(best)]
+        assert r["score"] == pytest.approx(1 / sum(math.exp(v - best) for v in total), abs=1e-6)
+    assert unseen > 20
+
+
+def test_language_on_rows_never_learnt_from(spark):
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = language_id.contract(d).filter("held_out").join(d.filter("text IS NOT NULL").select("doc_id", "lang"), "doc_id")
+    n, right = got.count(), got.filter("lang = lang_pred").count()
+    assert n > 150 and right >= 0.98 * n
 
 
 def _brute_components(fps, ids, k=4):

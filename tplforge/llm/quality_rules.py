@@ -6,8 +6,10 @@ posterior probability of good quality decides, instead of asking that a
 document pass all rules. Two hard limits stay in front: too few words, and too
 many words in repeated 5-word windows.
 
-Null and empty texts have no words and fail the hard limit. Rows with the same
-doc_id are judged one by one. An empty table gives an empty result.
+Null and empty texts have no words and fail the hard limit. Very long texts are counted
+whole. Rows with the same doc_id are judged one by one, rows without a doc_id too (`keep_good`, which names
+documents by it, keeps those). Documents of the same votes have the same posterior, and one at the threshold itself
+is kept. An empty table gives an empty result. Columns of other names play no part.
 """
 
 from __future__ import annotations
@@ -15,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tplforge.llm.common import stored
+from tplforge.llm.common import fresh_names, stored
 from tplforge.llm.text_features import count_features
 from tplforge.llm.weak_labels import Voter, posteriors
 
@@ -53,5 +55,6 @@ def contract(docs: DataFrame) -> DataFrame:
 
 def keep_good(docs: DataFrame) -> DataFrame:
     """docs without the rejected ones. A doc_id that repeats goes if one of its rows is rejected."""
-    bad = judge(docs).filter(~F.col("kept")).select(F.col("doc_id").alias("__bad")).distinct()
-    return docs.join(bad, docs["doc_id"] == F.col("__bad"), "left_anti")
+    key = fresh_names(docs, "bad")[0]
+    bad = judge(docs).filter(~F.col("kept")).select(F.col("doc_id").alias(key)).distinct()
+    return docs.join(bad, docs["doc_id"] == F.col(key), "left_anti")
