@@ -10,13 +10,22 @@ being content; leaves above one half are the main text.
 White space inside a block becomes one space, blocks are joined by line ends in
 page order. Null and empty pages have an empty text. Pages that end early, leave
 elements open or close what was never opened are read as far as they go; nesting
-of any depth is walked without recursion. Rows are extracted one by one.
+of any depth is walked without recursion, and pages of any length are read whole. Rows
+are extracted one by one, repeated ids and rows without one included; a leaf at the
+threshold itself is text. An empty table gives an empty result. Columns of other names
+play no part.
+
+Only scripts and styles are left out for what they are; whatever else a page holds is
+judged by the model. It is trained on pages made by rule (`varied_page`): layouts with
+and without frame elements, named or not, tables as layout, pages without any frame,
+and blocks of every kind inside and outside the article.
 """
 
 from __future__ import annotations
 
 import html
 import math
+import random
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -30,7 +39,9 @@ from tplforge.llm.common import byte_slices
 
 # Element names of the markup language by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template iframe svg math object textarea title".split())
+RAW = frozenset("script style".split())
+#: what these hold is characters and no markup
+PLAIN = frozenset("title textarea".split())
 BLOCK = frozenset(
     "address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead title tr ul".split()
 )
@@ -42,6 +53,7 @@ SCOPES = frozenset("ul ol dl table tbody thead tfoot select html body div articl
 _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _NAMED = re.compile(r"\b(class|id|role|hidden|data-label)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 _WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
+_CLOSE = {tag: re.compile(rf"</{tag}[\s/>][^>]*>?|</{tag}>", re.I) for tag in RAW | PLAIN}
 _ENDS = re.compile(r"[.!?:;…]['\")\]]*$")
 
 
@@ -88,13 +100,13 @@ def _text_features(text: str, inside: list[str]) -> tuple[str, ...]:
 
 def parse(page: str) -> Tree:
     t = Tree()
-    root = t.add(-1, "#root", ("tag:#root",), None, None)
+    root = t.add(-1, "#root", (), None, None)
     stack, at, n = [root], 0, len(page)
 
     def text(raw: str) -> None:
         if raw:
             raw = html.unescape(raw)
-            t.add(stack[-1], "", _text_features(raw, [t.tag[i] for i in stack[-4:]]), raw, None)
+            t.add(stack[-1], "", (f"tag:{t.tag[stack[-1]]}>#text", *_text_features(raw, [t.tag[i] for i in stack[-4:]])), raw, None)
 
     while at < n:
         lt = page.find("<", at)
@@ -140,16 +152,42 @@ def parse(page: str) -> Tree:
                 if t.tag[stack[i]] in SCOPES:
                     break
         words, label = _attributes(m[4])
-        node = t.add(stack[-1], tag, (f"tag:{tag}", *words), None, label)
-        if tag in RAW:
-            close = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
-            t.add(node, "#raw", ("tag:#raw",), None, 0)
+        node = t.add(stack[-1], tag, (f"tag:{t.tag[stack[-1]]}>{tag}", *words), None, label)
+        if tag in RAW or tag in PLAIN:
+            close = _CLOSE[tag].search(page, at)
+            if tag in PLAIN:
+                stack.append(node)
+                text(page[at : close.start() if close else n])
+                stack.pop()
+            else:
+                t.add(node, "#raw", (f"tag:{tag}>#raw",), None, 0)
             at = close.end() if close else n
         elif tag not in VOID and not m[4].endswith("/"):
             stack.append(node)
+    _shapes(t)
     return t
 
 
+def _shapes(t: Tree) -> None:
+    """Adds to what is seen of block elements how many words they hold and what share of them is in links."""
+    n = len(t.tag)
+    words, linked = [0] * n, [0] * n
+    for i in range(n - 1, 0, -1):
+        if not t.tag[i]:
+            words[i] = len(t.text[i].split())
+        elif t.tag[i] == "a":
+            linked[i] = words[i]
+        p = t.parent[i]
+        words[p] += words[i]
+        linked[p] += linked[i]
+    for i in range(n):
+        if t.tag[i] in BLOCK and t.tag[i] not in ("html", "body", "head"):
+            w = words[i]
+            size = "none" if not w else "few" if w < 8 else "some" if w < 40 else "many"
+            links = "no" if not linked[i] else "little" if 4 * linked[i] < w else "much" if 10 * linked[i] < 9 * w else "all"
+            t.seen[i] += (f"words:{size}", f"links:{links}")
+
+
 @dataclass
 class Model:
     """Logarithms: prior of the root, child given parent, feature given state."""
@@ -158,6 +196,10 @@ class Model:
     move: tuple[tuple[float, float], tuple[float, float]]
     feature: dict[str, tuple[float, float]]
 
+    def evidence(self, feature: str) -> tuple[float, float] | None:
+        """Logarithms of a feature in either state, if it or its tag alone was met in training."""
+        return self.feature.get(feature) or self.feature.get(_alone(feature))
+
     def marginals(self, t: Tree) -> list[float]:
         """Probability of content of each node, by messages up and down the tree."""
         n = len(t.tag)
@@ -166,7 +208,7 @@ class Model:
         own0, own1, memo = [0.0] * n, [0.0] * n, {}
         for i, seen in enumerate(t.seen):
             if (u := memo.get(seen)) is None:
-                known = [self.feature[f] for f in seen if f in self.feature]
+                known = [x for f in seen if (x := self.evidence(f)) is not None]
                 a, b = sum(k[0] for k in known), sum(k[1] for k in known)
                 top = max(a, b)
                 u = memo[seen] = (math.exp(a - top), math.exp(b - top))
@@ -209,13 +251,19 @@ def states(t: Tree) -> list[int]:
     return s
 
 
-def fit(pages: list[str], smooth: float = 0.05, temper: float = 0.25) -> Model:
+def _alone(feature: str) -> str:
+    """A tag below a tag as the tag alone, for pairs that were never seen."""
+    return "tag:" + feature.rpartition(">")[2] if feature.startswith("tag:") else feature
+
+
+def fit(pages: list[str], smooth: float = 0.5, temper: float = 0.25, back: float = 2.0) -> Model:
     """pages: html in which data-label="1" or "0" marks where content begins and ends.
 
-    What is seen of a text (its length, how it ends) depends on itself several times
-    over and says little beside tags and names: its logarithms count for `temper` of their worth.
+    A tag's probability is that below its parent's tag: in a list of links the links say no more than the list.
+    What is seen of a text or of what a block holds (lengths, ends, links) depends on itself several times
+    over: its logarithms count for `temper` of their worth.
     """
-    feature, of, move, root = (Counter(), Counter()), [0, 0], Counter(), [1.0, 1.0]
+    feature, of, below, move, root = (Counter(), Counter()), [0, 0], (Counter(), Counter()), Counter(), [1.0, 1.0]
     for page in pages:
         t = parse(page)
         s = states(t)
@@ -223,22 +271,29 @@ def fit(pages: list[str], smooth: float = 0.05, temper: float = 0.25) -> Model:
         for i, seen in enumerate(t.seen):
             if i:
                 move[s[t.parent[i]], s[i]] += 1
+                below[s[i]][t.tag[t.parent[i]]] += 1
             of[s[i]] += 1
             for f in seen:
                 feature[s[i]][f] += 1
+                if f.startswith("tag:"):
+                    feature[s[i]][_alone(f)] += 1
     log = math.log
-    worth = lambda f: 1.0 if f.startswith(("tag:", "name:", "attr:")) else temper
-    table = {f: tuple(worth(f) * log((feature[y][f] + smooth) / (of[y] + 2 * smooth)) for y in (0, 1)) for f in feature[0].keys() | feature[1].keys()}
+
+    def logs(f: str, y: int) -> float:
+        alone = (feature[y][_alone(f)] + smooth) / (of[y] + 2 * smooth)
+        if ">" not in f:
+            return (1.0 if f.startswith(("tag:", "name:", "attr:")) else temper) * log(alone)
+        # below a parent seldom seen in this state, the tag's own share decides
+        return log((feature[y][f] + back * alone) / (below[y][f[4:].rpartition(">")[0]] + back))
+
+    table = {f: (logs(f, 0), logs(f, 1)) for f in sorted(feature[0].keys() | feature[1].keys())}
     z = sum(root)
     rows = tuple(tuple(log((move[a, b] + smooth) / (move[a, 0] + move[a, 1] + 2 * smooth)) for b in (0, 1)) for a in (0, 1))
     return Model((log(root[0] / z), log(root[1] / z)), rows, table)
 
 
-def main_text(page: str | None, model: Model, threshold: float = 0.5) -> str:
-    if not page:
-        return ""
-    t = parse(page)
-    p = model.marginals(t)
+def rendered(t: Tree, p: list[float], threshold: float = 0.5) -> str:
+    """The texts of p at or above the threshold, in blocks."""
     blocks: list[list[str]] = [[]]
     # the innermost block element above each node, and a new block whenever that changes or a block ends
     block_of = [0] * len(t.tag)
@@ -256,60 +311,154 @@ def main_text(page: str | None, model: Model, threshold: float = 0.5) -> str:
     return "\n".join(x for x in (" ".join("".join(b).split()) for b in blocks) if x)
 
 
-def labelled_pages() -> list[str]:
-    """Small labelled pages in the layouts that sites commonly use, made by rule."""
-    say = "Reports from the northern valley say that the river rose again, and that two bridges were closed."
-    more = "The council will meet on Monday to decide what is to be done about it, a spokesman said."
-    short = "Water rises in the valley"
-    links = "".join(f'<li><a href="/{w}">{w}</a></li>' for w in ("Home", "World", "Sport", "About us", "Contact"))
-    ad = '<div class="ad">Buy two pairs now and save on shoes.</div>'
-    sides = [
-        f'<nav><ul>{links}</ul></nav>',
-        f'<div class="menu" id="main-menu"><ul>{links}</ul></div>',
-        f'<header class="site-header"><a href="/">Daily</a><div class="logo">The Daily News</div><ul class="nav">{links}</ul></header>',
-        ad,
-        '<div class="advert banner"><p>Great offers this week only. Click here.</p></div>',
-        '<div class="ads"><span>Advertisement</span><a href="/x">Save now</a></div>',
-        '<aside class="sidebar"><h3>Most read</h3><ul><li><a href="/1">Ten ways to cook rice today</a></li></ul><p>Sign up for more.</p></aside>',
-        '<div class="sidebar widget"><h4>Related</h4><p>Other stories that you may like to read today.</p></div>',
-        '<div class="cookie-notice"><p>We use cookies to make this site better. By going on you agree to it.</p><button>OK</button></div>',
-        '<div class="notice popup modal" role="dialog">Please accept our terms before you read on.</div>',
-        '<form class="search" action="/s"><label>Search</label><input name="q"><select><option>All</option></select><button>Go</button></form>',
-        '<form><p>Subscribe to our newsletter and never miss a story.</p><input type="email"></form>',
-        '<div class="share social"><a href="#">Share</a> <a href="#">Tweet</a></div>',
-        '<div class="breadcrumb"><a href="/">Home</a> &gt; <a href="/w">World</a></div>',
-    ]
-    ends = [
-        '<section class="comments" id="comments"><h3>Comments</h3><div class="comment"><p>I saw it with my own eyes, the water was very high that day.</p></div><div class="comment">First!</div></section>',
-        '<div id="comments"><ul class="comment-list"><li class="comment"><p>What a shame. They should have built it higher.</p></li></ul></div>',
-        "<footer><p>All rights reserved. No part may be copied without leave of the editor.</p></footer>",
-        '<footer>&copy; www.example.com &middot; Words about us and our site. Terms.\nMore here.</footer>',
-        f'<div class="footer"><ul>{links}</ul><p>Copyright of the publisher.</p></div>',
-        '<div class="related promo"><h3>Read next</h3><a href="/2">Five hills to climb this summer</a></div>',
-    ]
-    bodies = [
-        f"<h1>{short}</h1><p>{say}</p><p>{more}</p>",
-        f"<h1>{short}</h1><p><b>{say}<br><p>{more}</p>",
-        f"<h1>{short}</h1><p>Short one</p><p>{say} <a href='/more'>More of this story</a> {more} <a href='/x'>Here</a></p><h2>After the <a href='/y'>flood</a></h2><p>{more}</p>",
-        f"<h2>{short}</h2><p>{say}</p><ul><li>{more}</li><li>{say}</li></ul><blockquote>{more}</blockquote>",
-        f"<h1>{short}</h1><p>{say}</p><table><tr><td>Level</td><td>4 m</td></tr></table><p><em>{more}</em></p><pre>a = 1</pre>",
-        f"<h1>{short.upper()}!!</h1><p><b>{say.upper()}<br></b></p><p>word word word word word word word word</p>",
-        f"<div><p>{say}</p></div><div><p>{more}</p></div><figure><figcaption>{short}</figcaption></figure>",
-        f"<h1>a</h1><p>b</p><p>### &amp;&amp;&amp; $$$ word | word |</p><p>{say}</p>",
-    ]
-    frames = ["<article data-label='1'>{}</article>", "<main data-label='1'><article>{}</article></main>", "<div id='content' class='post entry' data-label='1'>{}</div>", "<main><div class='article-body' data-label='1'>{}</div></main>", "<section class='story main' data-label='1'>{}</section>"]
-    head = '<head><meta charset="utf-8"><title>Water rises</title><style>p{margin:0}</style><script>var t="</p>";track(1);</script></head>'
-    mark = lambda x: re.sub(r"^<(\w+)", r'<\1 data-label="0"', x)
-    out = []
-    for i, body in enumerate(bodies):
-        for j, frame in enumerate(frames):
-            k = i * len(frames) + j
-            before = [mark(sides[(k + s * 5) % len(sides)]) for s in range(3)]
-            inner = mark(sides[(k * 3 + 3) % len(sides)]) if k % 3 == 0 else ""
-            after = [mark(ends[(k + s) % len(ends)]) for s in range(2)]
-            close = "" if k % 7 == 3 else "</body></html>"
-            out.append(f"<!DOCTYPE html><html>{head}<body data-label='0'>{''.join(before)}{frame.format(body + inner)}{''.join(after)}{close}")
-    return out
+def main_text(page: str | None, model: Model, threshold: float = 0.5) -> str:
+    if not page:
+        return ""
+    t = parse(page)
+    return rendered(t, model.marginals(t), threshold)
+
+
+#: syllables of the made-up words, names of blocks, and words of what sites say beside their articles
+_SYLLABLES = "ta ri mo len sur ka vi den po ar es ul ni gre fo hal".split()
+_GOOD_NAMES = "content post entry article story main body text page-content post-body entry-content article-body".split()
+_PLAIN_NAMES = "wrap box row col inner c1 left block x9 unit grid cell section part".split()
+_SIDES = {
+    "nav": ("nav", "menu", "navbar", "main-menu", "breadcrumb", "tabs"),
+    "ad": ("ad", "ads", "advert", "banner", "sponsor", "promo"),
+    "side": ("sidebar", "aside", "widget", "related", "most-read", "teaser"),
+    "notice": ("cookie-notice", "notice", "popup", "modal", "consent", "alert"),
+    "form": ("search", "newsletter", "subscribe", "login"),
+    "share": ("share", "social", "toolbar", "tags"),
+    "comments": ("comments", "comment-list", "replies", "discussion"),
+    "footer": ("footer", "site-footer", "copyright", "legal"),
+    "header": ("header", "site-header", "masthead", "logo"),
+}
+
+
+class _Maker:
+    """Pieces of pages, all from one stream of chance."""
+
+    def __init__(self, seed: int):
+        self.r = random.Random(seed)
+
+    def word(self) -> str:
+        return "".join(self.r.choice(_SYLLABLES) for _ in range(self.r.choice((1, 1, 2, 2, 3))))
+
+    def say(self, least: int, most: int, end: str = ".") -> str:
+        return " ".join(self.word() for _ in range(self.r.randint(least, most))).capitalize() + end
+
+    def prose(self) -> str:
+        return " ".join(self.say(4, 18) for _ in range(self.r.choice((1, 1, 2, 3, 5))))
+
+    def link(self) -> str:
+        return f'<a href="/{self.word()}">{self.say(1, 4, "")}</a>'
+
+    def inline(self, text: str) -> str:
+        k = self.r.randrange(9)
+        if k < 4:
+            tag = ("b", "em", "span", "code")[k]
+            return f"<{tag}>{self.say(1, 4, '')}</{tag}> {text}"
+        return f"{text} {self.link()} {self.say(2, 9)}" if k == 4 else f"<b>{text}<br>" if k == 5 else text
+
+    def block(self) -> str:
+        """A block as it stands in an article."""
+        k = self.r.randrange(18)
+        if k < 8:
+            return f"<p>{self.inline(self.prose())}</p>"
+        if k == 8:
+            return f"<h{k % 3 + 2}>{self.say(2, 6, '')}</h{k % 3 + 2}>"
+        if k == 9:
+            return f"<p>{self.say(1, 2, self.r.choice(('.', '', ':')))}</p>"
+        if k == 10:
+            items = "".join(f"<li>{self.link() if self.r.random() < 0.5 else self.say(1, 14, self.r.choice(('.', '')))}</li>" for _ in range(self.r.randint(2, 5)))
+            return f"<ul>{items}</ul>" if self.r.random() < 0.6 else f"<ol>{items}</ol>"
+        if k == 11:
+            return "<ul>" + "".join(f"<li>{self.link()}</li>" for _ in range(self.r.randint(2, 5))) + "</ul>"
+        if k == 12:
+            return f"<blockquote><p>{self.prose()}</p></blockquote>" if self.r.random() < 0.5 else f"<blockquote>{self.prose()}</blockquote>"
+        if k == 13:
+            return "<table>" + "".join(f"<tr><td>{self.word()}</td><td>{self.r.randint(1, 99)}</td></tr>" for _ in range(3)) + "</table>"
+        if k == 14:
+            return f"<figure><img src='/p'><figcaption>{self.say(2, 9)}</figcaption></figure>"
+        if k == 15:
+            return f"<p>{self.say(2, 8, '')} <math><mi>x</mi><mo>=</mo><mn>{self.r.randint(1, 9)}</mn></math> {self.say(2, 8)}</p>"
+        if k == 16:
+            return f"<pre>{self.word()} = {self.r.randint(1, 9)}</pre>" if self.r.random() < 0.5 else f"<object><p>{self.prose()}</p></object>"
+        return f"<dl><dt>{self.word()}</dt><dd>{self.say(3, 9)}</dd></dl>" if self.r.random() < 0.5 else f"<div><p>{self.prose()}</p></div>"
+
+    def article(self) -> list[str]:
+        k = self.r.choice((1, 1, 1, 2))
+        out = [f"<h{k}>{self.say(2, 9, self.r.choice(('', '.', '!')))}</h{k}>"] if self.r.random() < 0.8 else []
+        out += [self.block() for _ in range(self.r.randint(1, 7))]
+        if self.r.random() < 0.3:
+            out += [self.side(self.r.choice(("ad", "share", "side", "form")), inside=True), self.block()]
+        if self.r.random() < 0.15:
+            out.insert(0, '<noscript data-label="0"><p>' + self.say(4, 9) + "</p></noscript>")
+        return out
+
+    def links(self) -> str:
+        if self.r.random() < 0.7:
+            return "<ul>" + "".join(f"<li>{self.link()}</li>" for _ in range(self.r.randint(3, 7))) + "</ul>"
+        return self.r.choice((" ", " | ", "<br>")).join(self.link() for _ in range(self.r.randint(3, 7)))
+
+    def side(self, kind: str, inside: bool = False) -> str:
+        """A block that is no part of the article."""
+        inner = {
+            "nav": lambda: self.links(),
+            "ad": lambda: self.r.choice((self.say(4, 20), f"<p>{self.say(3, 9, '!')}</p>{self.link()}", f"<span>{self.word()}</span> {self.link()}")),
+            "side": lambda: f"<h3>{self.say(1, 3, '')}</h3>" + self.r.choice((self.links(), f"<p>{self.say(5, 20)}</p>", self.links() + f"<p>{self.say(4, 15)}</p>")),
+            "notice": lambda: f"<p>{self.say(6, 25)}</p><button>{self.word()}</button>" if self.r.random() < 0.6 else self.say(6, 25),
+            "form": lambda: f"<label>{self.word()}</label><input name='q'><select><option>{self.word()}</option></select><textarea>{self.say(1, 4)}</textarea><p>{self.say(3, 9)}</p><button>{self.word()}</button>",
+            "share": lambda: " ".join(f'<a href="#">{self.word()}</a>' for _ in range(3)),
+            "comments": lambda: f"<h3>{self.word()}</h3>" + "".join(f'<div class="comment"><p>{self.prose()}</p></div>' if self.r.random() < 0.6 else f'<div class="comment"><b>{self.word()}</b> {self.say(3, 20)}</div>' for _ in range(self.r.randint(1, 3))),
+            "footer": lambda: f"<p>&copy; {self.word()}.example.com. {self.say(4, 14)}</p>" if self.r.random() < 0.5 else f"&copy; {self.word()}.example.net &middot; {self.say(3, 9)}\n{self.say(1, 4)}" + (self.links() if self.r.random() < 0.4 else ""),
+            "header": lambda: f"<a href='/'>{self.word()}</a><div>{self.say(1, 4, '')}</div>" + (self.links() if self.r.random() < 0.5 else ""),
+        }[kind]()
+        name = self.r.choice(_SIDES[kind])
+        own = {"nav": "nav", "side": "aside", "form": "form", "comments": "section", "footer": "footer", "header": "header"}.get(kind)
+        tag = own if own and self.r.random() < 0.6 and not inside else "form" if kind == "form" else "div"
+        named = tag == "div" or self.r.random() < 0.4 or tag == "section"
+        what = f' {self.r.choice(("class", "class", "id"))}="{name}"' if named else ""
+        return f'<{tag} data-label="0"{what}>{inner}</{tag}>'
+
+
+def varied_page(seed: int) -> str:
+    """A page in one of many layouts, made by rule; data-label says what is its main text."""
+    m = _Maker(seed)
+    r, blocks = m.r, m.article()
+    article, kind = "".join(blocks), r.randrange(12)
+    if kind < 3:
+        frame = f'<article data-label="1">{article}</article>'
+        frame = f"<main>{frame}</main>" if r.random() < 0.3 else frame
+    elif kind < 6:
+        tag, what = r.choice(("div", "div", "main", "section")), f'{r.choice(("class", "id"))}="{r.choice(_GOOD_NAMES)}"'
+        frame = f'<{tag} {what} data-label="1">{article}</{tag}>'
+        frame = f'<div class="{r.choice(_PLAIN_NAMES)}">{frame}</div>' if r.random() < 0.4 else frame
+    elif kind < 8:
+        frame = f'<div data-label="1">{article}</div>' if r.random() < 0.5 else f'<div id="{r.choice(_PLAIN_NAMES)}" data-label="1">{article}</div>'
+    elif kind == 8:
+        frame = f'<table><tr><td data-label="0">{m.links()}</td><td data-label="1">{article}</td></tr></table>'
+    elif kind == 9:
+        frame = f'<main data-label="1">{article}</main>'
+    else:
+        # no frame at all: each block for itself
+        frame = "".join(x if "data-label" in x else re.sub(r"^<(\w+)", r'<\1 data-label="1"', x) for x in blocks)
+    before = "".join(m.side(k) for k in ("header", "nav", "ad", "notice", "share") if r.random() < 0.45)
+    after = "".join(m.side(k) for k in ("side", "ad", "comments", "form", "share", "footer", "nav") if r.random() < 0.35)
+    if r.random() < 0.15:
+        return before + frame + after
+    head = f'<head data-label="0"><meta charset="utf-8"><title>{m.say(2, 8, "")}</title><style>p{{margin:0}}</style><script>var t="</p>";</script></head>' if r.random() < 0.8 else ""
+    return f'<!DOCTYPE html><html>{head}<body data-label="0">{before}{frame}{after}' + ("</body></html>" if r.random() < 0.8 else "")
+
+
+def unmarked(page: str) -> str:
+    """A labelled page without its labels."""
+    return re.sub(r' data-label="[01]"', "", page)
+
+
+def labelled_pages(n: int = 400) -> list[str]:
+    """The pages that the model is fitted on."""
+    return [varied_page(seed) for seed in range(n)]
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", labelled: list[str] | None = None, threshold: float = 0.5) -> DataFrame:
