@@ -10,9 +10,11 @@ room for enough others (position filter). What is common is guessed from a sampl
 the guess decides how large buckets get, never what is found.
 
 One sort by shingle drops all shingles that a single text has, and pairs neighbours by
-size; with the trie's links these join most of a group of copies. Then the buckets
-that still hold several components give all pairs between different ones. So a
-group costs rows and not pairs. Candidates are first compared by bit vectors: a bit is
+size. What is left is sorted again in some orders of chance, one for each class of
+shingles, so that a text of a large group meets a few others by chance and not the same
+ones everywhere; with the trie's links these pairs join most of a group of copies. Then the
+buckets that still hold several components give all pairs between different ones. So a
+group costs rows and not pairs. Candidates are compared by bit vectors before anything else: a bit is
 the parity of how many shingles fall on it, so two vectors differ in no more places
 than the sets have shingles that are not shared. The rest is compared by whole sets,
 made again from the texts for the documents that need it.
@@ -41,8 +43,12 @@ COMMON = 50_000
 FILTER = 1 << 19
 #: bits of a set's parity vector, a power of 2
 PARITY = 2048
+#: bits of the vector that buckets compare pairs by, a power of 2 below PARITY
+FOLDED = 512
+#: orders of chance in which the texts of a bucket are paired with the next
+ORDERS = 8
 #: pairs of a bucket made at a time
-BLOCK = 1 << 18
+BLOCK = 1 << 16
 #: bytes of texts whose shingles are worked on at a time
 STEP_BYTES = 1 << 20
 BITS = 64
@@ -120,6 +126,7 @@ def _prefixes(docs: DataFrame, k: int, bound: float) -> DataFrame:
             key = _reduce(mix(hs ^ np.uint64(0x165667B19E3779F9)), n)
             odd = np.bincount(ds * PARITY + (hs & np.uint64(PARITY - 1)).astype(np.int64), minlength=len(n) * PARITY).reshape(-1, PARITY) & 1
             odd = np.packbits(odd.astype(bool), axis=1)
+            low = np.bitwise_xor.reduce(odd.reshape(len(n), PARITY // FOLDED, FOLDED // 8), axis=1)
             fp = set_fingerprints(hs, n)
             freq = np.zeros(len(hs), np.int64)
             if len(known):
@@ -130,11 +137,11 @@ def _prefixes(docs: DataFrame, k: int, bound: float) -> DataFrame:
             rank = np.arange(len(hs)) - np.repeat(np.cumsum(n) - n, n)
             first = hs[order][rank < np.repeat(size, n)]
             yield pa.record_batch(
-                [b.column("doc_id"), pa.array(key.view(np.int64)), pa.array(n.astype(np.int32)), pa.array(fp.view(np.int64)), _lists(size, first.view(np.int64)), pa.array([x.tobytes() for x in odd], pa.binary())],
-                names=["doc_id", "key", "n", "fp", "first", "odd"],
+                [b.column("doc_id"), pa.array(key.view(np.int64)), pa.array(n.astype(np.int32)), pa.array(fp.view(np.int64)), _lists(size, first.view(np.int64)), pa.array([x.tobytes() for x in odd], pa.binary()), pa.array([x.tobytes() for x in low], pa.binary())],
+                names=["doc_id", "key", "n", "fp", "first", "odd", "low"],
             )
 
-    return docs.mapInArrow(run, "doc_id long, key long, n int, fp long, first array<long>, odd binary")
+    return docs.mapInArrow(run, "doc_id long, key long, n int, fp long, first array<long>, odd binary, low binary")
 
 
 def _open(n: str, pos: str, n_b: str, pos_b: str, bound: float):
@@ -152,10 +159,19 @@ def _shared(one: DataFrame) -> DataFrame:
     return with_next.filter("next IS NOT NULL OR last IS NOT NULL").select("h", "rep", "n", "pos", "next")
 
 
-def _bucket_pairs(n: np.ndarray, pos: np.ndarray, rep: np.ndarray, comp: np.ndarray, bound: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs of one bucket, of different components, that sizes and positions leave open."""
+def _beside(shared: DataFrame, bound: float) -> DataFrame:
+    """Pairs (a, b) of neighbours in a bucket: by size, and in the order of chance that the bucket's shingle has."""
+    by_chance = W.partitionBy("h").orderBy(F.xxhash64(F.pmod("h", F.lit(ORDERS)), "rep"), "rep")
+    chance = shared.select("h", "rep", "n", "pos").withColumn("next", F.lead(F.struct("rep", "n", "pos")).over(by_chance))
+    pairs = shared.select("rep", "n", "pos", "next").union(chance.select("rep", "n", "pos", "next")).filter("next IS NOT NULL")
+    pairs = pairs.select("rep", "n", "pos", F.col("next.rep").alias("rep_b"), F.col("next.n").alias("n_b"), F.col("next.pos").alias("pos_b"))
+    return pairs.filter(_open("n", "pos", "n_b", "pos_b", bound)).select(F.least("rep", "rep_b").alias("a"), F.greatest("rep", "rep_b").alias("b"))
+
+
+def _bucket_pairs(n: np.ndarray, pos: np.ndarray, rep: np.ndarray, comp: np.ndarray, odd: np.ndarray, bound: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of one bucket, of different components, that sizes, positions and parities leave open."""
     order = np.lexsort((rep, comp))
-    n, pos, rep, comp = n[order], pos[order], rep[order], comp[order]
+    n, pos, rep, comp, odd = n[order], pos[order], rep[order], comp[order], odd[order]
     m = len(n)
     start = np.searchsorted(comp, comp, side="right")
     count = m - start
@@ -167,15 +183,18 @@ def _bucket_pairs(n: np.ndarray, pos: np.ndarray, rep: np.ndarray, comp: np.ndar
         x = np.repeat(np.arange(at, to), c)
         y = start[x] + np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
         room = np.minimum(n[x] - pos[x], n[y] - pos[y])
-        small, large = np.minimum(n[x], n[y]), np.maximum(n[x], n[y])
-        ok = (small >= bound * large - _EPS) & (room * (1 + bound) >= bound * (small + large) - _EPS)
+        both, small, large = n[x] + n[y], np.minimum(n[x], n[y]), np.maximum(n[x], n[y])
+        ok = np.flatnonzero((small >= bound * large - _EPS) & (room * (1 + bound) >= bound * both - _EPS))
+        x, y, both = x[ok], y[ok], both[ok]
+        ok = np.bitwise_count(odd[x] ^ odd[y]).sum(axis=1, dtype=np.int64) * (1 + bound) <= both * (1 - bound) + _EPS * both
         if ok.any():
-            yield np.minimum(rep[x], rep[y])[ok], np.maximum(rep[x], rep[y])[ok]
+            x, y = x[ok], y[ok]
+            yield np.minimum(rep[x], rep[y]), np.maximum(rep[x], rep[y])
         at = to
 
 
 def _between(rows: DataFrame, bound: float) -> DataFrame:
-    """rows(h, rep, n, pos, comp) -> distinct pairs (a, b) of different components that share a shingle."""
+    """rows(h, rep, n, pos, comp, odd) -> distinct pairs (a, b) of different components that share a shingle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, held = None, []
@@ -193,6 +212,7 @@ def _between(rows: DataFrame, bound: float) -> DataFrame:
             if not batch.num_rows:
                 continue
             h, *rest = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("h", "n", "pos", "rep", "comp"))
+            rest.append(np.frombuffer(b"".join(batch.column("odd").to_pylist()), np.uint64).reshape(batch.num_rows, -1))
             cut = [0, *(np.flatnonzero(h[1:] != h[:-1]) + 1).tolist(), len(h)]
             for lo, hi in zip(cut, cut[1:], strict=False):
                 if held and h[lo] != key:
@@ -215,7 +235,7 @@ def _between(rows: DataFrame, bound: float) -> DataFrame:
         if found:
             yield out(found)
 
-    return rows.select("h", "n", "pos", "rep", "comp").repartition("h").sortWithinPartitions("h").mapInArrow(run, "a long, b long").distinct()
+    return rows.select("h", "n", "pos", "rep", "comp", "odd").repartition("h").sortWithinPartitions("h").mapInArrow(run, "a long, b long").distinct()
 
 
 def _possible(pairs: DataFrame, one: DataFrame, bound: float) -> DataFrame:
@@ -271,19 +291,21 @@ def similar_components(docs: DataFrame, k: int, bound: float, budget: int) -> Da
     spark, docs = docs.sparkSession, texts(docs)
     root = scratch(spark, "similar")
     seen = stored_at(_prefixes(docs, k, bound).filter("doc_id IS NOT NULL"), f"{root}/prefixes")
-    one = stored_at(seen.groupBy("key").agg(F.min_by(F.struct("n", "fp", "first", "odd"), "doc_id").alias("x"), F.min("doc_id").alias("rep")).select("key", "rep", "x.n", "x.fp", "x.first", "x.odd"), f"{root}/distinct")
+    one = stored_at(seen.groupBy("key").agg(F.min_by(F.struct("n", "fp", "first", "odd", "low"), "doc_id").alias("x"), F.min("doc_id").alias("rep")).select("key", "rep", "x.n", "x.fp", "x.first", "x.odd", "x.low"), f"{root}/distinct")
     # close copies by their fingerprints: the trie's links, and sets of one fingerprint
     fps = stored_at(one.groupBy("fp").agg(F.min("rep").alias("rep")), f"{root}/fingerprints")
     same = one.select("fp", F.col("rep").alias("b")).join(fps.withColumnRenamed("rep", "a"), "fp").filter("a <> b").select("a", "b")
     tried = near_links(fps, budget).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     # what the fingerprints miss, by shared shingles
     shared = stored_at(_shared(one), f"{root}/shared")
-    beside = shared.filter("next IS NOT NULL").select("rep", "n", "pos", F.col("next.rep").alias("rep_b"), F.col("next.n").alias("n_b"), F.col("next.pos").alias("pos_b"))
-    beside = beside.filter(_open("n", "pos", "n_b", "pos_b", bound)).select(F.least("rep", "rep_b").alias("a"), F.greatest("rep", "rep_b").alias("b"))
+    beside = _beside(shared, bound)
     links = _similar(docs, tried.union(same).union(beside).distinct(), one, k, bound, f"{root}/near")
     label = components(links, "similar-first").select(F.col("node").alias("rep"), "label")
-    named = shared.select("h", "rep", "n", "pos").join(label, "rep", "left").withColumn("comp", F.coalesce("label", "rep"))
-    links = links.union(_similar(docs, _between(named, bound), one, k, bound, f"{root}/rest"))
+    low = one.select("rep", F.col("low").alias("odd"))
+    named = shared.select("h", "rep", "n", "pos").join(low, "rep").join(label, "rep", "left").withColumn("comp", F.coalesce("label", "rep"))
+    # buckets of one component have no pairs left
+    several = stored_at(named.groupBy("h").agg(F.min("comp").alias("least"), F.max("comp").alias("most")).filter("least < most").select("h"), f"{root}/several")
+    links = links.union(_similar(docs, _between(named.join(several, "h"), bound), one, k, bound, f"{root}/rest"))
     found = components(links, "similar-components")
     of = one.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("component_id"))
     out = stored(seen.select("doc_id", "key").join(of, "key").select("doc_id", "component_id"), "similar")
