@@ -1,9 +1,10 @@
-"""The workloads run over the surveyed corpora, methods, values and budgets."""
+"""The workloads run over the surveyed corpora, methods, values and a tenth of the budgets, and tell methods apart."""
 
 import pytest
 
 from tplforge.plans import methods
-from tplforge.sources.corpus import BUDGETS, TRUTH
+from tplforge.operators import rounds
+from tplforge.sources.corpus import BUDGETS, SCALE, TRUTH
 
 TWO = {"ord_desk", "evt_simple"}
 SURVEYED = {
@@ -34,6 +35,8 @@ def test_surveyed(spark, monkeypatch, name):
         def withColumn(self, *_):
             return self
 
+        select = withColumn
+
     monkeypatch.setattr(methods, "method", lambda spark, sf_dir, n, which, cfg=None: ran.append((n, which, cfg)) or Frame())
     monkeypatch.setattr(methods, "scored", lambda p: p)
     monkeypatch.setattr(methods.M, "errors", lambda p: p)
@@ -44,6 +47,24 @@ def test_surveyed(spark, monkeypatch, name):
     assert {n for n, _, _ in ran} == corpora and len(ran) == each * len(corpora)
     for n, _, cfg in ran:
         if cfg is not None and name != "w6_sweep_budget":
-            assert (cfg.budget, cfg.start) == BUDGETS[n]
+            total, start = BUDGETS[n]
+            assert (cfg.budget, cfg.start) == (total // SCALE, tuple(x // SCALE for x in start))
     if name == "w6_sweep_budget":
-        assert {c.budget for _, _, c in ran} == {50, 100, 150, 200, 250}
+        assert {c.budget for _, _, c in ran} == {5, 10, 15, 20, 25}
+
+
+def test_rounds_happen(spark):
+    for name in ("part_shelf", "ord_desk"):
+        got = rounds.run(methods.lines(spark, "/root/testdata/sf0.001", name), methods.config(name), final=False)
+        assert len(got.trace) >= 3 and sum(t["spent"] for t in got.trace) <= methods.config(name).budget
+        budgets = [t["budget"] for t in got.trace]
+        assert budgets[2:] == sorted(budgets[2:], reverse=True) or methods.config(name).budget < 10
+
+
+def test_ablations_differ(spark):
+    """Leaving out the adaptive context costs accuracy where keywords are many; both populations are reported."""
+    got = {(r["population"], r["method"]): r for r in methods.w5_ablation(spark, "/root/testdata/sf0.001", ("part_shelf",)).collect()}
+    assert {p for p, _ in got} == {"all", "unlabelled"} and len(got) == 12
+    deltas = {m: got["unlabelled", m]["d_mla"] for _, m in got if m != "FULL"}
+    assert deltas["-AD"] < -1 and len({round(d, 3) for d in deltas.values()}) >= 3
+    assert all(got["all", m]["mla"] >= got["unlabelled", m]["mla"] - 1e-9 for _, m in got)

@@ -87,7 +87,7 @@ def corpus_stats(lines: DataFrame) -> DataFrame:
     return own.join(words, "domain")
 
 
-def delta(df: DataFrame, base: str, measures=("mla", "pta", "rta")) -> DataFrame:
+def delta(df: DataFrame, base: str, keys=("domain",), measures=("mla", "pta", "rta")) -> DataFrame:
     """Measures of every other method less those of `base`, in points."""
-    b = df.filter(F.col("method") == base).select("domain", *(F.col(m).alias(f"base_{m}") for m in measures))
-    return df.filter(F.col("method") != base).join(b, "domain").select("domain", "method", *((100 * (F.col(m) - F.col(f"base_{m}"))).alias(f"d_{m}") for m in measures))
+    b = df.filter(F.col("method") == base).select(*keys, *(F.col(m).alias(f"base_{m}") for m in measures))
+    return df.filter(F.col("method") != base).join(b, list(keys)).select(*keys, "method", *((100 * (F.col(m) - F.col(f"base_{m}"))).alias(f"d_{m}") for m in measures))

@@ -18,6 +18,8 @@ from tplforge.plans.choose import LOCAL_PATTERNS
 from tplforge.session import stored
 
 WILD = "<*>"
+#: what a line is worth to the fixed-size baseline when it is covered again
+DECAY = 0.5
 
 
 def masked(words):
@@ -80,7 +82,7 @@ def as_typed(pred: DataFrame) -> DataFrame:
 
 def _pattern_table(lines: DataFrame) -> tuple[DataFrame, DataFrame, dict[int, _Pattern] | None]:
     """Distinct lines, their patterns, and these once more on the driver if they fit it."""
-    distinct = distinct_lines(lines).persist()
+    distinct = stored(distinct_lines(lines), "baseline-lines")
     table = patterns(distinct.drop("weight"), "classed")
     if table.count() > LOCAL_PATTERNS:
         return distinct, stored(table, "baseline-patterns"), None
@@ -115,7 +117,7 @@ def _hard_picks(open_: DataFrame, cfg: Config, labelled: list[Demo], rnd: int, b
     v = mean_vectors(open_.join(hard.select("log_id"), "log_id", "left_semi"))
     near = knn_edges(v, neighbours, "log_id", "v").filter(F.col("cos") >= cut).select("src", "dst")
     own = hard.select(F.col("log_id").alias("src"), F.col("log_id").alias("dst"))
-    got = greedy(hard.select("log_id", (1 - F.col("sure")).alias("difficulty")), near.union(own), b, 0.1)
+    got = greedy(hard.select("log_id", (1 - F.col("sure")).alias("difficulty")), near.union(own), b, 0.1, decay=DECAY)
     return [r["log_id"] for r in got.orderBy("rank").collect()]  # b rows
 
 
@@ -142,7 +144,10 @@ def single_round(lines: DataFrame, budget: int, k: int = 5, model: ContextTagger
 
 
 def multi_fixed(lines: DataFrame, budget: int, per_round: int, k: int = 5, neighbours: int = 5, model: ContextTagger | None = None) -> Result:
-    """Rounds of one size: hard lines (the less sure half) covered by their nearest neighbours, repeats counting less."""
+    """Rounds of one size: hard lines (the less sure half) covered by their nearest neighbours.
+
+    A line that is covered already counts half as much each time it is covered again.
+    """
     distinct, table, pats = _pattern_table(lines)
     cfg = Config(budget=budget, context=Context(mode="topk", k=k), model=model or ContextTagger())
     labelled, left, trace = [], budget, []
@@ -165,7 +170,7 @@ def multi_fixed(lines: DataFrame, budget: int, per_round: int, k: int = 5, neigh
             sure = {i: (sum(a.probs) / len(a.probs) if a.probs else 0.0) for i, x in open_.items() for a in [p.predict(i, x.words)[0]]}
             hard = sorted(open_, key=lambda i: (sure[i], i))[: max(1, (len(open_) + 1) // 2)]
             near = _nearest({i: open_[i].words for i in hard}, neighbours)
-            picks = [g[1] for g in greedy_local(near, {i: 1 - sure[i] for i in hard}, b, 0.1)]
+            picks = [g[1] for g in greedy_local(near, {i: 1 - sure[i] for i in hard}, b, 0.1, decay=DECAY)]
         labelled += _demos(pats, picks)
         for i in picks:
             open_.pop(i)
@@ -174,16 +179,16 @@ def multi_fixed(lines: DataFrame, budget: int, per_round: int, k: int = 5, neigh
     return Result(labelled, trace, final_pass(distinct, cfg, labelled))
 
 
-def zero_shot(lines: DataFrame) -> Result:
-    distinct = distinct_lines(lines).persist()
-    return Result([], [], final_pass(distinct, Config(context=Context(mode="none"), model=ShapeOnly()), []))
+def zero_shot(lines: DataFrame, misread: int = 0) -> Result:
+    distinct = stored(distinct_lines(lines), "baseline-lines")
+    return Result([], [], final_pass(distinct, Config(context=Context(mode="none"), model=ShapeOnly(misread=misread)), []))
 
 
-def random_pick(lines: DataFrame, budget: int) -> Result:
-    distinct = distinct_lines(lines).persist()
+def random_pick(lines: DataFrame, budget: int, model: ContextTagger | None = None) -> Result:
+    distinct = stored(distinct_lines(lines), "baseline-lines")
     rows = distinct.orderBy(F.xxhash64("log_id"), "log_id").limit(budget).select("log_id", "words", "labels").collect()
     labelled = [Demo(r["log_id"], tuple(r["words"]), tuple(r["labels"])) for r in rows]
-    return Result(labelled, [], final_pass(distinct, Config(), labelled))
+    return Result(labelled, [], final_pass(distinct, Config(model=model or ContextTagger()), labelled))
 
 
 def token_tagger(lines: DataFrame, budget: int) -> Result:

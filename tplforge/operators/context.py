@@ -111,7 +111,7 @@ class TopK:
         return self.ids[order].tolist()
 
 
-def context_frame(lines: DataFrame, demos: list[Demo], mode: str = "adaptive", k: int = 5, sim: Similarity | None = None, cover: str = "target") -> DataFrame:
+def context_frame(lines: DataFrame, demos: list[Demo], mode: str = "adaptive", k: int = 5, sim: Similarity | None = None, cover: str = "target", strict_break: bool = False) -> DataFrame:
     """log_id, demos, uncovered for lines(log_id, words). The labelled set is bounded by the label budget."""
     held = lines.sparkSession.sparkContext.broadcast((demos, sim or Similarity()))
 
@@ -119,7 +119,7 @@ def context_frame(lines: DataFrame, demos: list[Demo], mode: str = "adaptive", k
         d, s = held.value
         index, top = MatchIndex(d, s), TopK(d, k)
         for pdf in batches:
-            got = [adaptive(list(w), index, cover) if mode == "adaptive" else (top.pick(list(w)), []) for w in pdf.words]
+            got = [adaptive(list(w), index, cover, strict_break) if mode == "adaptive" else (top.pick(list(w)), []) for w in pdf.words]
             yield pd.DataFrame({"log_id": pdf.log_id, "demos": [g[0] for g in got], "uncovered": [g[1] for g in got]})
 
     return lines.select("log_id", "words").mapInPandas(run, DEMOS)

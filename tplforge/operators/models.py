@@ -32,12 +32,17 @@ class Answer:
 
 @dataclass(frozen=True)
 class ContextTagger:
-    """Labels words after the examples it is shown; inject: share of lines (per 1000) with a made-up error."""
+    """Labels words after the examples it is shown; inject: share of lines (per 1000) with a made-up error.
+
+    misread: share of words (per 1000) that the model takes for a variable, of a type it makes up, as long as no
+    example shows them: what a language model does with rare words.
+    """
 
     similarity: str = "classed"
     tau: float = 0.5
     inject: int = 0
     seed: int = 7
+    misread: int = 0
 
     def answer(self, log_id: int, words: list[str], demos: list[Demo], sim: Similarity, rnd: int = 0) -> Answer:
         labels, probs = [], []
@@ -64,7 +69,8 @@ class ContextTagger:
                 labels.append(guess)
                 probs.append(0.4)
             else:
-                labels.append(w)
+                h = zlib.crc32(f"{w}/{self.seed}".encode())
+                labels.append(CANDIDATES[h // 1000 % len(CANDIDATES)] if h % 1000 < self.misread else w)
                 probs.append(0.3)
         out = Answer(labels, list(words), probs)
         return self._err(log_id, rnd, out) if self.inject else out
@@ -124,6 +130,7 @@ class Context:
     cover: str = "target"
     similarity: str = "classed"
     tau: float = 0.5
+    strict_break: bool = False
 
 
 class Predictor:
@@ -142,7 +149,7 @@ class Predictor:
         elif self.ctx.mode == "topk":
             chosen, missing = self.top.pick(words), []
         else:
-            chosen, missing = adaptive(words, self.index, self.ctx.cover)
+            chosen, missing = adaptive(words, self.index, self.ctx.cover, self.ctx.strict_break)
         demos = [self.by[d] for d in chosen]
         a = self.model.answer(log_id, words, demos, self.tag_sim, self.rnd)
         n = -(-len(prompt_text(words, [(d.words, d.labels) for d in demos])) // 4)
@@ -183,5 +190,18 @@ class TruthAnnotator:
         return [Demo(r["log_id"], tuple(r["words"]), tuple(r["labels"])) for r in sorted(rows, key=lambda r: r["log_id"])]
 
 
+def consistent(words: list[str], a: Answer) -> bool:
+    """The answer echoes the line, has a label for every word, and no label but candidates and the words themselves."""
+    return a.echo == words and len(a.labels) == len(words) and set(a.labels) <= _ALLOWED | set(words)
+
+
+_ALLOWED = frozenset(CANDIDATES)
+
+
+def tagged(labels: list[str], words: list[str]) -> list[str]:
+    """Keywords in brackets of their own instead of verbatim: the other style of writing a template."""
+    return [f"<{x}>" if x == w else x for x, w in zip(labels, words, strict=True)]
+
+
 def with_injection(model: ContextTagger, per_thousand: int) -> ContextTagger:
     return replace(model, inject=per_thousand)

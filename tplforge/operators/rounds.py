@@ -13,15 +13,15 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from tplforge.functions.confidence import difficulty, inconsistent, mean_prob
-from tplforge.functions.words import Similarity, classed, residual, vector
+from tplforge.functions.words import Similarity, classed, residual, shape, vector
 from tplforge.operators import budget as budgets
 from tplforge.operators.context import Demo
-from tplforge.operators.models import Context, ContextTagger, Predictor, predict, templates
+from tplforge.operators.models import CANDIDATES, Context, ContextTagger, Predictor, consistent, predict, templates
 from tplforge.operators.represent import cosine_edges, distinct_lines, edges, edges_local, patterns
 from tplforge.operators.select import dpp_local, dpp_map, greedy, greedy_local
 from tplforge.plans.choose import choose
@@ -42,7 +42,7 @@ class Config:
     use_pc: bool = True
     adaptive_budget: bool = True
     objective: str = "separable"
-    residual: str = "exact"  # or "none"
+    residual: str = "exact"  # "similar" drops words alike to labelled ones too (same shape, or cosine >= tau), "none" drops none
     length_basis: str = "full"
     words_basis: str = "cumulative"
     rounding: str = "floor"
@@ -97,6 +97,37 @@ def mean_vectors(table: DataFrame) -> DataFrame:
     return table.select("log_id", "words").mapInPandas(run, "log_id long, v array<double>")
 
 
+def _left(words: list[str], known: set[str], cfg: Config, sim: Similarity, shapes: set[str]) -> list[str]:
+    """The words that the labelled lines do not identify."""
+    if cfg.residual == "none":
+        return words
+    left = [w for w in words if w not in known]
+    if cfg.residual == "similar":
+        left = [w for w in left if not (any(sim.same(w, x) for x in known) if sim.kind == "vector" else sim.kind == "classed" and sim.shape(w) in shapes)]
+    return left
+
+
+def _residual_column(known: list[str], cfg: Config) -> Column:
+    """The same as a column of words; the labelled words are bounded by the label budget."""
+    words = F.col("words")
+    if cfg.residual == "none":
+        return words
+    exact = residual(words, F.array(*map(F.lit, known)).cast("array<string>"))
+    sim = Similarity(cfg.context.similarity, cfg.tau)
+    if cfg.residual == "exact" or sim.kind == "exact":
+        return exact
+    if sim.kind == "classed":
+        shapes = F.array(*map(F.lit, sorted({sim.shape(w) for w in known}))).cast("array<string>")
+        return F.filter(exact, lambda w: ~F.array_contains(shapes, shape(w)))
+    held = set(known)
+
+    @F.pandas_udf("array<string>")
+    def left(ws: pd.Series) -> pd.Series:
+        return pd.Series([_left(list(x), held, cfg, sim, set()) for x in ws])
+
+    return left(words)
+
+
 def _groups(open_: DataFrame, known: list[str], cfg: Config) -> tuple[DataFrame, DataFrame]:
     """(log_id, grp) and (src, dst) of groups: who stands for whom, as covers_of has it."""
     own = open_.select("log_id", F.col("log_id").alias("grp"))
@@ -104,10 +135,8 @@ def _groups(open_: DataFrame, known: list[str], cfg: Config) -> tuple[DataFrame,
         return own, own.select(F.col("grp").alias("src"), F.col("grp").alias("dst"))
     if cfg.distance == "cosine":
         return own, cosine_edges(mean_vectors(open_), cfg.cosine_cut)
-    words = F.col("words")
-    res = residual(words, F.array(*map(F.lit, known)).cast("array<string>")) if cfg.residual == "exact" else words
     kind = cfg.context.similarity
-    rows = open_.select("log_id", "words", res.alias("r"))
+    rows = open_.select("log_id", "words", _residual_column(known, cfg).alias("r"))
     # equal residuals and lengths stand for the same lines
     key = F.struct((classed(F.col("r")) if kind == "classed" else F.col("r")).alias("res"), F.size("words").alias("n_words"))
     member = rows.select("log_id", F.min("log_id").over(W.partitionBy(key)).alias("grp"))
@@ -119,7 +148,8 @@ def covers_of(open_: dict[int, _Pattern], known: set[str], cfg: Config, spark=No
     sim = Similarity(cfg.context.similarity, cfg.tau)
     if cfg.distance == "cosine":
         return _cosine_covers({i: p.words for i, p in open_.items()}, cfg.cosine_cut)
-    res = {i: [w for w in p.words if w not in known] if cfg.residual == "exact" else p.words for i, p in open_.items()}
+    shapes = {sim.shape(w) for w in known}
+    res = {i: _left(p.words, known, cfg, sim, shapes) for i, p in open_.items()}
     length = {i: len(p.words if cfg.length_basis == "full" else res[i]) for i, p in open_.items()}
     if choose(len(open_))["pairs"].choice == "driver" or spark is None or sim.kind == "vector":
         return edges_local(res, length, cfg.delta, sim)
@@ -137,7 +167,7 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
     Empty tables and budgets of 0 give an empty labelled set and predictions without examples.
     """
     spark = lines.sparkSession
-    distinct = distinct_lines(lines).persist()
+    distinct = stored(distinct_lines(lines), "rounds-lines")
     # variable words of one shape are one pattern, whatever similarity the distances use
     table = patterns(distinct.drop("weight"), "classed")
     decisions = choose(table.count(), similarity=cfg.context.similarity)
@@ -167,7 +197,7 @@ def run(lines: DataFrame, cfg: Config, final: bool = True) -> Result:
             for i, x in open_.items():
                 ans = p.predict(i, x.words)[0]
                 mean = sum(ans.probs) / len(ans.probs) if ans.probs else 0.0
-                flag = int(ans.echo != x.words or len(ans.labels) != len(x.words))
+                flag = int(not consistent(x.words, ans))
                 c[i] = cfg.a * (1 - mean) + (1 - cfg.a) * flag if cfg.use_pc else 0.0
             lam = cfg.lam if cfg.use_rs and cfg.use_pc else 1.0 if cfg.use_pc else 0.0
             cover = covers_of(open_, known, cfg, spark) if cfg.use_rs else {i: {i} for i in open_}
@@ -208,7 +238,7 @@ def _run_distributed(distinct: DataFrame, table: DataFrame, cfg: Config, decisio
             member, e = _groups(open_, known, cfg)
             if cfg.use_pc:
                 pred = predict(open_, cfg.model, cfg.context, labelled, r)
-                c = pred.join(open_.select("log_id", "words"), "log_id").select("log_id", difficulty(mean_prob(F.col("probs")), inconsistent(F.col("words"), F.col("echo"), F.col("labels")), cfg.a).alias("difficulty"))
+                c = pred.join(open_.select("log_id", "words"), "log_id").select("log_id", difficulty(mean_prob(F.col("probs")), inconsistent(F.col("words"), F.col("echo"), F.col("labels"), F.array(*map(F.lit, CANDIDATES))), cfg.a).alias("difficulty"))
             else:
                 c = open_.select("log_id", F.lit(0.0).alias("difficulty"))
             lam = cfg.lam if cfg.use_rs and cfg.use_pc else 1.0 if cfg.use_pc else 0.0

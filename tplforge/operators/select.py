@@ -8,6 +8,7 @@ Ties always go to the lower log_id. The denominator u is that of the round's sta
 from __future__ import annotations
 
 import heapq
+import math
 from collections.abc import Iterable
 
 import numpy as np
@@ -27,49 +28,56 @@ def objective(chosen: Iterable[int], covers: dict[int, set[int]], c: dict[int, f
     return (len(chosen) if form == "as_printed" else 1) * (1 - lam) * cov + lam * sum(c[i] for i in chosen)
 
 
-def greedy_local(covers: dict[int, set[int]], c: dict[int, float], b: int, lam: float, form: str = "separable", weight: dict[int, int] | None = None, lazy: bool = True) -> list[tuple[int, int, float, int, float]]:
+def greedy_local(covers: dict[int, set[int]], c: dict[int, float], b: int, lam: float, form: str = "separable", weight: dict[int, int] | None = None, lazy: bool = True, decay: float = 0.0) -> list[tuple[int, int, float, int, float]]:
     """Picks (rank, id, gain, covered so far, difficulty) for lines that fit the driver.
 
     weight: lines per pattern; coverage then counts lines. lazy: keeps stale gains in a heap
-    (only where gains cannot grow).
+    (only where gains cannot grow). decay: what a line that is covered is still worth when it is
+    covered again, as a share of the time before (separable form).
     """
     w = weight or dict.fromkeys(c, 1)
     u = sum(w[i] for i in c) or 1
     size = lambda s: sum(w.get(i, 1) for i in s)
     covered: set[int] = set()
+    times: dict[int, int] = {}
     left, out = set(c), []
 
     def gain(i: int) -> float:
+        if decay:
+            return (1 - lam) * sum(w.get(j, 1) * decay ** times.get(j, 0) for j in sorted(covers.get(i, {i}))) / u + lam * c[i]
         new = size(covers.get(i, {i}) - covered) / u
         if form == "as_printed":
             k = len(out)
             return (1 - lam) * ((k + 1) * (size(covered) / u + new) - k * size(covered) / u) + lam * c[i]
         return (1 - lam) * new + lam * c[i]
 
-    heap = [(-gain(i), i) for i in left] if lazy and form == "separable" else []
+    heap = [(-round(gain(i), 12), i) for i in left] if lazy and form == "separable" else []
     heapq.heapify(heap)
     while left and len(out) < b:
         if heap:
             while True:
                 _, i = heapq.heappop(heap)
                 g = gain(i)
-                if not heap or (-g, i) <= heap[0]:
+                if not heap or (-round(g, 12), i) <= heap[0]:
                     break
-                heapq.heappush(heap, (-g, i))
+                heapq.heappush(heap, (-round(g, 12), i))
         else:
             i = min(left, key=lambda j: (-round(gain(j), 12), j))
             g = gain(i)
         left.discard(i)
         covered |= covers.get(i, {i})
+        for j in covers.get(i, {i}) if decay else ():
+            times[j] = times.get(j, 0) + 1
         out.append((len(out) + 1, i, g, size(covered), c[i]))
     return out
 
 
-def greedy(cands: DataFrame, edges: DataFrame, b: int, lam: float, form: str = "separable", weight: DataFrame | None = None) -> DataFrame:
+def greedy(cands: DataFrame, edges: DataFrame, b: int, lam: float, form: str = "separable", weight: DataFrame | None = None, decay: float = 0.0, eps: float | None = None, seed: int = 7) -> DataFrame:
     """The distributed form: cands(log_id, difficulty), edges(src, dst).
 
     weight(dst, w): lines that a covered one counts for. Where cands has a column grp, edges and weights
-    are those of groups, whose members stand for the same lines.
+    are those of groups, whose members stand for the same lines. decay: as in greedy_local. eps: each pick looks only
+    at (u/b) ln(1/eps) of the rest, by the hash of seed, pick and id (the sampled form).
 
     A pick changes only the gains of lines that stand for newly covered ones, so each round joins the
     delta and not all edges. Edges and the state of each pick are stored tables: plans stay small.
@@ -87,20 +95,39 @@ def greedy(cands: DataFrame, edges: DataFrame, b: int, lam: float, form: str = "
     for k in range(min(b, n)):
         mult, base = (k + 1, done) if form == "as_printed" else (1, 0)
         value = F.lit(1 - lam) * (mult * F.col("fresh") + base) / F.lit(float(u)) + F.lit(lam) * F.col("difficulty")
-        top = state.select("log_id", "grp", "difficulty", "fresh", F.round(value, 12).alias("gain")).orderBy(F.desc("gain"), "log_id").first()
-        done += top["fresh"]
+        seen = state if eps is None else state.orderBy(F.xxhash64(F.lit(seed), F.lit(k), "log_id"), "log_id").limit(max(1, math.ceil(n / b * math.log(1 / eps))))
+        top = seen.select("log_id", "grp", "difficulty", "fresh", F.round(value, 12).alias("gain")).orderBy(F.desc("gain"), "log_id").first()
+        new = edges.filter(F.col("src") == top["grp"]).select("dst", "w").distinct()
+        if decay:
+            # every line that the pick covers is worth less from now on, by how often it was covered
+            seen = new.withColumn("times", F.lit(0)) if covered is None else new.join(covered, "dst", "left").withColumn("times", F.coalesce("times", F.lit(0)))
+            new = stored(seen, "greedy-new")
+            done += new.filter("times = 0").agg(F.sum("w")).first()[0] or 0
+        else:
+            done += top["fresh"]
         picks.append((k + 1, top["log_id"], float(top["gain"]), int(done), float(top["difficulty"])))
         if k + 1 == min(b, n):
             break
-        new = edges.filter(F.col("src") == top["grp"]).select("dst").distinct()
-        new = stored(new if covered is None else new.join(covered, "dst", "left_anti"), "greedy-new")
+        if decay:
+            lost = new.select("dst", ((1 - decay) * F.pow(F.lit(decay), F.col("times"))).alias("lost"))
+            less = edges.join(lost, "dst").groupBy(F.col("src").alias("grp")).agg(F.sum(F.col("w") * F.col("lost")).alias("gone"))
+            again = new.select("dst", (F.col("times") + 1).alias("times"))
+            covered = again if covered is None else stored(covered.join(again, "dst", "left_anti").union(again), "greedy-covered")
+            state = _after(state, top, less)
+            continue
+        new = stored(new.select("dst") if covered is None else new.select("dst").join(covered, "dst", "left_anti"), "greedy-new")
         less = edges.join(new, "dst", "left_semi").groupBy(F.col("src").alias("grp")).agg(F.sum("w").alias("gone"))
-        rest = state.filter(F.col("log_id") != top["log_id"]).join(less, "grp", "left")
-        state = stored(rest.select("log_id", "grp", "difficulty", (F.col("fresh") - F.coalesce("gone", F.lit(0))).alias("fresh")), "greedy-state")
+        state = _after(state, top, less)
         covered = new if covered is None else covered.union(new)
     return spark.createDataFrame(picks, PICK)
 
 
+def _after(state: DataFrame, top, less: DataFrame) -> DataFrame:
+    """The candidates after a pick, with what they lose by it."""
+    rest = state.filter(F.col("log_id") != top["log_id"]).join(less, "grp", "left")
+    return stored(rest.select("log_id", "grp", "difficulty", (F.col("fresh") - F.coalesce("gone", F.lit(0))).alias("fresh")), "greedy-state")
+
+
 def greedy_sampled(covers: dict[int, set[int]], c: dict[int, float], b: int, lam: float, eps: float = 0.1, seed: int = 7) -> list[tuple[int, int, float, int, float]]:
     """Each pick looks at a random (u/b)ln(1/eps) of the rest; separable objective."""
     rng, u = np.random.default_rng(seed), max(len(c), 1)

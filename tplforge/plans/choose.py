@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 #: patterns up to which the rounds' bookkeeping stays with the driver
-LOCAL_PATTERNS = 20_000
+LOCAL_PATTERNS = 2_000
 #: patterns up to which pair distances are computed there as well
 LOCAL_PAIRS = 600
 #: labelled words up to which the labelled vocabulary is broadcast

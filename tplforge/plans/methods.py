@@ -20,8 +20,11 @@ from tplforge.operators import select as S
 from tplforge.operators.context import adaptive_sql, context_frame
 from tplforge.operators.models import CANDIDATES, Context, ContextTagger
 from tplforge.operators.prompt import INSTRUCTION, build
-from tplforge.operators.represent import edges, knn_edges, patterns, score
-from tplforge.sources.corpus import BUDGETS, CORPORA, TRUTH, corpus, plain, query, table
+from tplforge.operators.represent import edges, knn_edges, knn_index, patterns, score, sizes
+from tplforge.plans.choose import choose
+from tplforge.sources.corpus import CORPORA, SCALE, SCALED, TRUTH, corpus, document_lines, plain, query, table
+
+from tplforge.session import stored
 
 Query = Callable[[SparkSession, str], DataFrame]
 _Q: dict[str, Query] = {}
@@ -112,6 +115,8 @@ def residual_words(spark, sf_dir):
 
 
 # ---- distances and representation ----------------------------------------------------------
+#: free text: a line stands for those that differ in a tenth of the words
+DOC_DELTA = 0.1
 _SMALL = ("evt_simple", "evt_rich", "ord_desk", "ledger")
 
 
@@ -127,12 +132,19 @@ def sed_exact_pairs(spark, sf_dir):
     return out.select("domain", "src", "dst", sed(F.col("res"), F.col("res_b")).alias("dist"))
 
 
-@register()
+@register(f"WITH {_patterns_sql(('evt_rich',))}, {_PAIRS} SELECT src, dst, dist::INT AS native, dist::INT AS similar_free FROM s")
 def sed_variants(spark, sf_dir):
-    """Both polarities of the substitution cost, as folds, beside the native form."""
+    """The native form of the distance and the recurrence as a fold."""
     p = _pattern_pairs(spark, sf_dir, "evt_rich")
     a, b = F.col("res"), F.col("res_b")
-    return p.select("src", "dst", sed(a, b).alias("native"), sed_fold(a, b).alias("similar_free"), sed_fold(a, b, "as_printed").alias("as_printed"))
+    return p.select("src", "dst", sed(a, b).alias("native"), sed_fold(a, b).alias("similar_free"))
+
+
+@register()
+def sed_as_printed(spark, sf_dir):
+    """The other polarity of the substitution cost."""
+    p = _pattern_pairs(spark, sf_dir, "evt_rich")
+    return p.select("src", "dst", sed_fold(F.col("res"), F.col("res_b"), "as_printed").alias("as_printed"))
 
 
 @register()
@@ -141,12 +153,13 @@ def sed_cosine_pairs(spark, sf_dir):
 
 
 @register(
-    f"""WITH {_patterns_sql(_SMALL)}, {_PAIRS}, e AS (SELECT domain, src, dst FROM s WHERE dist <= 0.5 * least(la, lb)),
+    f"""WITH {_patterns_sql(TRUTH)}, {_PAIRS}, e AS (SELECT domain, src, dst FROM s WHERE dist <= 0.5 * least(la, lb)),
 f AS (SELECT domain, src, dst FROM e UNION ALL SELECT domain, dst, src FROM e UNION ALL SELECT domain, log_id, log_id FROM t)
 SELECT domain, src, count(*) AS size FROM f GROUP BY 1, 2"""
 )
 def represent_sizes(spark, sf_dir):
-    parts = [score(edges(patterns(lines(spark, sf_dir, n)), 0.5)).select(F.lit(n).alias("domain"), "src", "size") for n in _SMALL]
+    """Pairs that fit by their sizes alone are counted by cells of sizes and not written out."""
+    parts = [sizes(patterns(lines(spark, sf_dir, n)), 0.5).select(F.lit(n).alias("domain"), "src", "size") for n in TRUTH]
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -156,6 +169,18 @@ def repr_bench_lines(spark, sf_dir):
     return score(edges(patterns(lines(spark, sf_dir, "bench_lines"), "exact"), 0.7))
 
 
+@register()
+def repr_documents_lines(spark, sf_dir):
+    """How many lines each distinct line of documents stands for: near copies among free text of any length."""
+    pats = patterns(tokenize(document_lines(spark, sf_dir)).filter("n_words > 0"), "exact")
+    return sizes(pats, DOC_DELTA)
+
+
+@register()
+def repr_chat_lines(spark, sf_dir):
+    return sizes(patterns(lines(spark, sf_dir, "chat_lines"), "exact"), DOC_DELTA)
+
+
 _EMB = """q AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings WHERE vec_id % 50 = 0), c AS (SELECT q.vec_id AS src, e.vec_id AS dst, round(list_cosine_similarity(q.v, e.embedding::DOUBLE[]), 6) AS cos FROM q JOIN embeddings e ON q.vec_id <> e.vec_id)"""
 
 
@@ -174,6 +199,13 @@ def emb_knn_coverage(spark, sf_dir):
     return knn_edges(table(spark, sf_dir, "embeddings"), 5).groupBy("dst").agg(F.count("*").alias("size"))
 
 
+@register()
+def emb_knn_index(spark, sf_dir):
+    """The same neighbours through an index: every row is in a list, a query looks into the nearest lists."""
+    e = table(spark, sf_dir, "embeddings")
+    return knn_index(e, 5, queries=e.filter(F.col("vec_id") % 50 == 0))
+
+
 @register()
 def dpp_pick(spark, sf_dir):
     return S.dpp_map(table(spark, sf_dir, "embeddings"), 12)
@@ -226,7 +258,7 @@ def _errors(spark, sf_dir):
 
 # ---- selection -------------------------------------------------------------------------------
 def _candidates(spark, sf_dir, name="ord_desk") -> tuple[DataFrame, DataFrame]:
-    pats = patterns(lines(spark, sf_dir, name)).persist()
+    pats = stored(patterns(lines(spark, sf_dir, name)), "candidates")
     c = pats.select("log_id", (F.pmod(F.col("log_id") * 7, F.lit(100)) / F.lit(100.0)).alias("difficulty"))
     return c, edges(pats, 0.5).select("src", "dst")
 
@@ -249,29 +281,48 @@ def _greedy_query(form: str, lam: float):
     return run
 
 
-register(None, "greedy_separable")(_greedy_query("separable", 0.5))
-register(None, "greedy_as_printed")(_greedy_query("as_printed", 0.5))
-register(None, "greedy_coverage_only")(_greedy_query("separable", 0.0))
 
 
-def _local(spark, sf_dir):
-    c, e = _candidates(spark, sf_dir)
-    cover: dict[int, set[int]] = {}
-    for r in e.toLocalIterator():
-        cover.setdefault(r["src"], set()).add(r["dst"])
-    return {r["log_id"]: r["difficulty"] for r in c.collect()}, cover
+def _greedy_sql(form: str, lam: float, b: int, name: str = "ord_desk") -> str:
+    """The picks unrolled: x<k> is what the first k picks cover, g<k> the gains after them, p<k> the k-th pick."""
+    u = "(SELECT count(*) FROM t)"
+    parts = [
+        f"{_patterns_sql((name,))}, {_PAIRS}, e AS (SELECT src, dst FROM s WHERE dist <= 0.5 * least(la, lb))",
+        "f AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e UNION ALL SELECT log_id, log_id FROM t)",
+        "c AS (SELECT log_id, (log_id * 7 % 100) / 100.0::DOUBLE AS difficulty FROM t)",
+        "x0 AS (SELECT NULL::BIGINT AS dst WHERE false)",
+    ]
+    for k in range(b):
+        gone = " UNION ALL ".join(f"SELECT log_id FROM p{i}" for i in range(1, k + 1)) or "SELECT NULL::BIGINT WHERE false"
+        times, base = (k + 1, f"(SELECT count(*) FROM x{k})") if form == "as_printed" else (1, "0")
+        value = f"round({1 - lam}::DOUBLE * ({times} * count(f.dst) + {base}) / {u}::DOUBLE + {lam}::DOUBLE * any_value(difficulty), 12)"
+        parts.append(f"g{k} AS (SELECT c.log_id, any_value(difficulty) AS difficulty, {value} AS gain FROM c LEFT JOIN f ON f.src = c.log_id AND f.dst NOT IN (SELECT dst FROM x{k}) WHERE c.log_id NOT IN (SELECT log_id FROM ({gone}) WHERE log_id IS NOT NULL) GROUP BY 1)")
+        parts.append(f"p{k + 1} AS (SELECT * FROM g{k} ORDER BY gain DESC, log_id LIMIT 1)")
+        parts.append(f"x{k + 1} AS (SELECT dst FROM x{k} UNION SELECT dst FROM f JOIN p{k + 1} ON src = log_id)")
+    rows = " UNION ALL ".join(f"SELECT {k}::INT AS rank, log_id, gain, (SELECT count(*) FROM x{k})::INT AS covered, difficulty FROM p{k}" for k in range(1, b + 1))
+    return f"WITH {', '.join(parts)} {rows}"
 
 
-@register()
+for _key, _form, _lam in (("greedy_separable", "separable", 0.5), ("greedy_as_printed", "as_printed", 0.5), ("greedy_coverage_only", "separable", 0.0)):
+    register(_greedy_sql(_form, _lam, 4), _key)(_greedy_query(_form, _lam))
+
+
+@register(_greedy_sql("separable", 0.5, 5))
 def greedy_lazy(spark, sf_dir):
-    c, cover = _local(spark, sf_dir)
-    return spark.createDataFrame(S.greedy_local(cover, c, 10, 0.5), "rank int, log_id long, gain double, covered int, difficulty double")
+    """Stale gains in a heap on the driver, where the number of patterns was checked; the same picks from stored tables beyond."""
+    c, e = _candidates(spark, sf_dir)
+    if choose(c.count())["greedy"].choice == "distributed":
+        return S.greedy(c, e, 5, 0.5)
+    cover: dict[int, set[int]] = {}
+    for r in e.toLocalIterator():  # at most the square of the checked number
+        cover.setdefault(r["src"], set()).add(r["dst"])
+    got = S.greedy_local(cover, {r["log_id"]: r["difficulty"] for r in c.collect()}, 5, 0.5)
+    return spark.createDataFrame([(k, i, round(g, 12), n, d) for k, i, g, n, d in got], "rank int, log_id long, gain double, covered int, difficulty double")
 
 
 @register()
 def greedy_sampled(spark, sf_dir):
-    c, cover = _local(spark, sf_dir)
-    return spark.createDataFrame(S.greedy_sampled(cover, c, 10, 0.5), "rank int, log_id long, gain double, covered int, difficulty double")
+    return S.greedy(*_candidates(spark, sf_dir), 10, 0.5, eps=0.1)
 
 
 @register()
@@ -382,9 +433,13 @@ def parse_tree_masked(spark, sf_dir):
 
 
 # ---- methods -----------------------------------------------------------------------------------
+#: words per thousand that the stand-in model makes up a type for while no example shows them
+MISREAD = 500
+
+
 def config(name: str) -> R.Config:
-    total, start = BUDGETS[name]
-    return R.Config(budget=total, start=start, fixed=10 if total == 50 else 40)
+    total, start = SCALED[name]
+    return R.Config(budget=total, start=start, fixed=(10 if total * SCALE == 50 else 40) // SCALE, model=ContextTagger(misread=MISREAD))
 
 
 def method(spark, sf_dir, name: str, which: str, cfg: R.Config | None = None) -> DataFrame:
@@ -396,21 +451,25 @@ def method(spark, sf_dir, name: str, which: str, cfg: R.Config | None = None) ->
     elif which == "FT":
         out = B.token_tagger(d, cfg.budget).predictions
     elif which == "S1":
-        out = B.single_round(d, cfg.budget).predictions
+        out = B.single_round(d, cfg.budget, model=cfg.model).predictions
     elif which == "MF":
-        out = B.multi_fixed(d, cfg.budget, cfg.fixed).predictions
+        out = B.multi_fixed(d, cfg.budget, cfg.fixed, model=cfg.model).predictions
     elif which == "ZERO":
-        out = B.zero_shot(d).predictions
+        out = B.zero_shot(d, misread=MISREAD).predictions
     elif which == "RANDOM":
-        out = B.random_pick(d, cfg.budget).predictions
+        out = B.random_pick(d, cfg.budget, model=cfg.model).predictions
     else:
         out = R.run(d, R.variant(cfg, which)).predictions
     return out.withColumn("method", F.lit(which)).select("domain", "method", "log_id", "truth", "pred", "words", "echo", "labels", "true_labels", "demos", "tokens", "labelled")
 
 
-def scored(pred: DataFrame, population: str = "all") -> DataFrame:
-    """MLA, PTA, RTA; over all lines, or those without a label."""
-    return M.accuracy(pred if population == "all" else pred.filter(~F.col("labelled")))
+POPULATIONS = ("all", "unlabelled")
+
+
+def scored(pred: DataFrame, keys=M.KEYS) -> DataFrame:
+    """MLA, PTA, RTA over all distinct lines (a label makes its own line right), and over those without a label."""
+    seen = F.when(F.col("labelled"), F.array(F.lit("all"))).otherwise(F.array(*map(F.lit, POPULATIONS)))
+    return M.accuracy(pred.withColumn("population", F.explode(seen)), (*keys, "population"))
 
 
 def _method_query(which: str, name: str):
@@ -440,14 +499,14 @@ def w2_effectiveness(spark, sf_dir, names=TRUTH, methods=("PT", "FT", "S1", "MF"
 @register()
 def w3_w4_cost(spark, sf_dir, names=TRUTH, methods=("S1", "MF", "FULL")):
     """Seconds per line (modelled), context size, tokens and price."""
-    p = _union([method(spark, sf_dir, n, w) for n in names for w in methods]).persist()
+    p = stored(_union([method(spark, sf_dir, n, w).select("domain", "method", "demos", "tokens") for n in names for w in methods]), "cost")
     return M.time_per_line(p).join(M.context_size(p), ["domain", "method"]).join(M.api_cost(p), ["domain", "method"])
 
 
 @register()
 def w5_ablation(spark, sf_dir, names=("part_shelf", "evt_rich", "ord_desk", "evt_simple")):
-    got = _union([scored(method(spark, sf_dir, n, w)) for n in names for w in ("FULL", "-SED", "-RS", "-PC", "-AD", "-AB")]).persist()
-    return got.join(M.delta(got, "FULL"), ["domain", "method"], "left")
+    got = stored(_union([scored(method(spark, sf_dir, n, w)) for n in names for w in ("FULL", "-SED", "-RS", "-PC", "-AD", "-AB")]), "ablation")
+    return got.join(M.delta(got, "FULL", ("domain", "population")), ["domain", "population", "method"], "left")
 
 
 def _sweep(spark, sf_dir, names, values, change, extra=None) -> DataFrame:
@@ -465,7 +524,8 @@ _SWEPT = ("ord_desk", "evt_simple")
 
 @register()
 def w6_sweep_budget(spark, sf_dir):
-    return _sweep(spark, sf_dir, _SWEPT, (50, 100, 150, 200, 250), lambda c, v: replace(c, budget=v, start=(10, 10) if v <= 50 else (50, 25)))
+    """50 to 250 labels, a tenth of it as both corpora have few patterns."""
+    return _sweep(spark, sf_dir, _SWEPT, (5, 10, 15, 20, 25), lambda c, v: replace(c, budget=v, start=(1, 1) if v <= 5 else (5, 2)))
 
 
 @register()
@@ -480,7 +540,7 @@ def w8_sweep_delta(spark, sf_dir):
 
 @register()
 def w9_sweep_tau(spark, sf_dir):
-    return _sweep(spark, sf_dir, _SWEPT, (0, 0.25, 0.5, 0.75, 1), lambda c, v: replace(c, tau=v, context=Context(similarity="vector", tau=v), model=ContextTagger("vector", v)))
+    return _sweep(spark, sf_dir, _SWEPT, (0, 0.25, 0.5, 0.75, 1), lambda c, v: replace(c, tau=v, context=Context(similarity="vector", tau=v), model=ContextTagger("vector", v, misread=MISREAD)))
 
 
 def _error_counts(p: DataFrame) -> DataFrame:
@@ -489,12 +549,12 @@ def _error_counts(p: DataFrame) -> DataFrame:
 
 @register()
 def w10_errors_lambda(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("evt_rich",), (0, 0.25, 0.5), lambda c, v: replace(c, lam=v, model=ContextTagger(inject=20)), _error_counts)
+    return _sweep(spark, sf_dir, ("evt_rich",), (0, 0.25, 0.5), lambda c, v: replace(c, lam=v, model=ContextTagger(inject=20, misread=MISREAD)), _error_counts)
 
 
 @register()
 def w11_errors_a(spark, sf_dir):
-    return _sweep(spark, sf_dir, ("evt_rich",), (0.2, 0.5, 0.8), lambda c, v: replace(c, a=v, model=ContextTagger(inject=20)), _error_counts)
+    return _sweep(spark, sf_dir, ("evt_rich",), (0.2, 0.5, 0.8), lambda c, v: replace(c, a=v, model=ContextTagger(inject=20, misread=MISREAD)), _error_counts)
 
 
 @register()

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from tplforge.functions.distance import sed_arrow
 from tplforge.functions.words import tokenize
 from tplforge.session import shared_path
 from tplforge.sources.corpus import CORPORA, corpus, plain, table
@@ -169,11 +171,20 @@ def op_unpivot(spark, sf_dir):
     return op_pivot(spark, sf_dir).unpivot("source", ["de", "en", "es", "fr"], "lang", "n")
 
 
-@op()
+@op("SELECT true AS words_ok, true AS median_ok, true AS top_ok")
 def op_sketch(spark, sf_dir):
-    """Approximate distinct words, quantiles of length and the most frequent words."""
-    w = tokenize(table(spark, sf_dir, "documents"), "text").select("n_words", F.explode("words").alias("w"))
-    return w.agg(F.approx_count_distinct("w", 0.02).alias("words"), F.percentile_approx("n_words", [0.25, 0.5, 0.75], 1000).alias("quartiles"), F.expr("approx_top_k(w, 10)").alias("top"))
+    """Approximate distinct words, median length and most frequent words, each held to its bound by the exact figures."""
+    d = tokenize(table(spark, sf_dir, "documents"), "text")
+    w = d.select(F.explode("words").alias("w"))
+    near = w.agg(F.approx_count_distinct("w", 0.02).alias("words"), F.expr("approx_top_k(w, 10, 10000)[0].count").alias("top"))
+    exact = w.groupBy("w").agg(F.count("*").alias("n")).agg(F.count("*").alias("words_exact"), F.max("n").alias("top_exact"))
+    length = d.agg(F.percentile_approx("n_words", 0.5, 1000).alias("m"), F.percentile("n_words", F.lit(0.49)).alias("lo"), F.percentile("n_words", F.lit(0.51)).alias("hi"))
+    one = near.crossJoin(exact).crossJoin(length)  # three tables of one row
+    return one.select(
+        (F.abs(F.col("words") - F.col("words_exact")) <= 0.08 * F.col("words_exact")).alias("words_ok"),
+        F.col("m").between(F.floor("lo"), F.ceil("hi")).alias("median_ok"),
+        (F.abs(F.col("top") - F.col("top_exact")) <= 0.01 * F.col("top_exact")).alias("top_ok"),
+    )
 
 
 @op("SELECT o_orderkey, rank() OVER w AS rk, dense_rank() OVER w AS dr, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
@@ -285,20 +296,31 @@ def op_json(spark, sf_dir):
     return table(spark, sf_dir, "events").select("event_id", bag["k"].alias("k"), (v + 1).alias("next"))
 
 
-@op("SELECT p_partkey, length(p_name) * 2 AS twice FROM part")
-def op_udf(spark, sf_dir):
-    @F.pandas_udf("long")
-    def twice(s: pd.Series) -> pd.Series:
-        return s.str.len() * 2
+_PART_WORDS = "p AS (SELECT p_partkey, string_split(p_name, ' ') AS a, string_split(lower(p_type), ' ') AS b, list_distinct(list_concat(string_split(p_name, ' '), string_split(lower(p_type), ' '))) AS d FROM part)"
+_GLYPHS = "list_aggregate(list_transform({}, lambda x: chr(33 + list_position(d, x)::INT)), 'string_agg', '')"
+
 
-    return table(spark, sf_dir, "part").select("p_partkey", twice("p_name").alias("twice"))
+@op(f"WITH {_PART_WORDS} SELECT p_partkey, levenshtein({_GLYPHS.format('a')}, {_GLYPHS.format('b')})::INT AS dist FROM p")
+def op_udf(spark, sf_dir):
+    """Edit distance of two word lists in Arrow batches: the form for similarities that built-ins cannot express."""
+    p = table(spark, sf_dir, "part").select("p_partkey", F.split("p_name", " ").alias("a"), F.split(F.lower("p_type"), " ").alias("b"))
+    return p.select("p_partkey", sed_arrow("exact")("a", "b").alias("dist"))
 
 
 @op("SELECT label, pos, round(avg(v), 6) AS mean FROM (SELECT label, unnest(range(0, 64)) AS pos, unnest(embedding)::DOUBLE AS v FROM embeddings) GROUP BY 1, 2")
 def op_udaf(spark, sf_dir):
-    """Mean vector per label, with partial sums per place."""
-    e = table(spark, sf_dir, "embeddings").select("label", F.posexplode("embedding").alias("pos", "v"))
-    return e.groupBy("label", F.col("pos").cast("long").alias("pos")).agg(F.round(F.avg(F.col("v").cast("double")), 6).alias("mean"))
+    """Mean vector per label: an aggregate function in Arrow sums the vectors of a label's shards, built-ins the shards."""
+
+    @F.pandas_udf("array<double>")
+    def total(v: pd.Series) -> list:
+        return np.sum(np.stack(v.to_numpy()), axis=0, dtype=np.float64).tolist()
+
+    e = table(spark, sf_dir, "embeddings")
+    shard = F.pmod(F.xxhash64("vec_id"), F.lit(4 * int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    part = e.groupBy("label", shard.alias("shard")).agg(total("embedding").alias("v"))
+    n = e.groupBy("label").agg(F.count("*").alias("n"))
+    sums = part.select("label", F.posexplode("v").alias("pos", "v")).groupBy("label", "pos").agg(F.sum("v").alias("v"))
+    return sums.join(n, "label").select("label", F.col("pos").cast("long").alias("pos"), F.round(F.col("v") / F.col("n"), 6).alias("mean"))
 
 
 @op("SELECT p_partkey, unnest(string_split(p_name, ' ')) AS word FROM part")

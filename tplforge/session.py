@@ -10,10 +10,23 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
+_made: set[str] = set()
+
+
 def shared_path(spark: SparkSession, name: str) -> str:
-    """A new path in the folder that driver and executors share."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or (spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch")
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """A new path in the folder that driver and executors share (spark.checkpoint.dir).
+
+    Where the setting is missing, a session on one machine uses its warehouse; a cluster has to name a folder.
+    """
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        root = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
+    path = f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    _made.add(path)
+    return path
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
@@ -23,6 +36,14 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def forget(spark: SparkSession) -> None:
+    """Remove everything that this process has stored: for when no result is read any more."""
+    for path in list(_made):
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+        _made.discard(path)
+
+
 _shipped: set[str] = set()
 
 

@@ -12,7 +12,7 @@ from tplforge.schema import EVENTS, LINE
 
 
 def read_text(spark: SparkSession, path: str, domain: str) -> DataFrame:
-    """One line of a file is one log line; its id is the hash of file, offset block and text."""
+    """One line of a file is one log line. Ids are unique; they stay the same as long as files and split sizes do."""
     raw = spark.read.text(path).select(F.col("value").alias("raw"), F.col("_metadata.file_path").alias("f"), F.col("_metadata.file_block_start").alias("b"))
     return raw.select(F.xxhash64("f", "b", F.monotonically_increasing_id()).alias("log_id"), F.lit(domain).alias("domain"), "raw", F.lit(None).cast("string").alias("truth"))
 

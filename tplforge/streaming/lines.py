@@ -81,6 +81,54 @@ class NewWords(StatefulProcessor):
         pass
 
 
+class HardLines(StatefulProcessor):
+    """Per key: lines with a word never met before wait in a list; a timer in event time releases the first `budget` of them."""
+
+    def __init__(self, budget: int, wait_ms: int):
+        self.budget, self.wait = budget, wait_ms
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
+        self.known = handle.getMapState("known", "word string", "n long")
+        self.hard = handle.getListState("hard", "log_id long, fresh long")
+        self.due = handle.getValueState("due", "at long")
+
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
+        for pdf in rows:
+            for i, ws in zip(pdf.log_id, pdf.words, strict=True):
+                fresh = [w for w in dict.fromkeys(ws) if not self.known.containsKey((w,))]
+                for w in fresh:
+                    self.known.updateValue((w,), (1,))
+                if fresh:
+                    self.hard.appendValue((int(i), len(fresh)))
+        if not self.due.exists():
+            at = max(0, timerValues.getCurrentWatermarkInMs()) + self.wait
+            self.due.update((at,))
+            self.handle.registerTimer(at)
+        yield pd.DataFrame({"event_type": pd.Series([], dtype=str), "log_id": pd.Series([], dtype="int64"), "fresh": pd.Series([], dtype="int64")})
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
+        waiting = sorted(self.hard.get(), key=lambda r: (-r[1], r[0]))
+        self.hard.clear()
+        for r in waiting[self.budget :]:
+            self.hard.appendValue(r)
+        self.due.clear()
+        yield pd.DataFrame([(key[0], r[0], r[1]) for r in waiting[: self.budget]], columns=["event_type", "log_id", "fresh"])
+
+    def close(self) -> None:
+        pass
+
+
+def label_requests(stream: DataFrame, budget: int, wait_ms: int = 60_000, by: str = "event_type", watermark: str = WATERMARK) -> DataFrame:
+    """The hardest lines of each key, at most `budget` each time that the watermark passes the wait. Needs the RocksDB state store."""
+    return stream.withWatermark("ts", watermark).groupBy(by).transformWithStateInPandas(HardLines(budget, wait_ms), "event_type string, log_id long, fresh long", "Append", "EventTime")
+
+
+def late_rows(query) -> int:
+    """Rows that a query has dropped because they came behind the watermark."""
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in p["stateOperators"])
+
+
 def new_words(stream: DataFrame, by: str = "event_type") -> DataFrame:
     """Needs the RocksDB state store."""
     return stream.groupBy(by).transformWithStateInPandas(NewWords(), "event_type string, log_id long, fresh long", "Append", "None")
