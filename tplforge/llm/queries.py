@@ -67,4 +67,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_url_filters": url_rules.ORACLE}
+    return {"op5_url_filters": url_rules.ORACLE, "op8_substring_dedup": substring_dedup.ORACLE}

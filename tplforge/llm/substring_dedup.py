@@ -217,7 +217,19 @@ _FACTORS = pa.list_(pa.struct([("start", pa.int32()), ("length", pa.int32()), ("
 
 
 def contract(docs: DataFrame) -> DataFrame:
-    return dedup(docs).select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept_text"), 256).alias("kept_sha256"), F.size("factors").alias("n_factors"))
+    return dedup(docs).select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept_text"), 256).alias("kept_sha256"))
+
+
+#: the contract by all windows; doc_id is unique there
+ORACLE = r"""
+WITH l AS (SELECT doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0d]+'), lambda x: x <> '') AS ws FROM documents),
+w AS (SELECT doc_id, unnest(ws) AS w, generate_subscripts(ws, 1) AS pos FROM l),
+s AS (SELECT doc_id, pos, sha256(string_agg(w, ' ') OVER v) AS h, count(*) OVER v AS n FROM w WINDOW v AS (PARTITION BY doc_id ORDER BY pos ROWS BETWEEN CURRENT ROW AND 19 FOLLOWING)),
+f AS (SELECT doc_id, pos, row_number() OVER (PARTITION BY h ORDER BY doc_id, pos) > 1 AS again FROM s WHERE n = 20),
+g AS (SELECT w.doc_id, w.pos, w.w, coalesce(max(f.again::INT) OVER (PARTITION BY w.doc_id ORDER BY w.pos ROWS BETWEEN 19 PRECEDING AND CURRENT ROW), 0) AS gone FROM w LEFT JOIN f USING (doc_id, pos)),
+k AS (SELECT doc_id, count(*) AS n_words, sum(gone)::BIGINT AS n_removed, string_agg(w, ' ' ORDER BY pos) FILTER (WHERE gone = 0) AS kept FROM g GROUP BY 1)
+SELECT l.doc_id, coalesce(n_words, 0) AS n_words, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM l LEFT JOIN k USING (doc_id)
+"""
 
 
 def cut_repeats(docs: DataFrame) -> DataFrame:
