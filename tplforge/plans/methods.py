@@ -163,7 +163,15 @@ def represent_sizes(spark, sf_dir):
     return reduce(DataFrame.unionByName, parts)
 
 
-@register()
+_FEW_GLYPHS = "list_aggregate(list_transform({}, lambda x: chr(list_position(d, x)::INT)), 'string_agg', '')"  # passages of under 64 words
+
+
+@register(
+    f"""WITH t AS (SELECT {_WORDS.format("text")} AS res, min(item_id) AS log_id FROM benchmark GROUP BY 1),
+p AS (SELECT a.log_id AS src, b.log_id AS dst, a.res AS ra, b.res AS rb, list_distinct(list_concat(a.res, b.res)) AS d FROM t a JOIN t b ON a.log_id < b.log_id),
+e AS (SELECT src, dst FROM p WHERE levenshtein({_FEW_GLYPHS.format("ra")}, {_FEW_GLYPHS.format("rb")}) <= 0.7 * least(len(ra), len(rb))),
+f AS (SELECT src FROM e UNION ALL SELECT dst FROM e UNION ALL SELECT log_id FROM t) SELECT src, count(*) AS size FROM f GROUP BY 1"""
+)
 def repr_bench_lines(spark, sf_dir):
     """Edges of free text, exact words: the rarest-word filter instead of all pairs."""
     return score(edges(patterns(lines(spark, sf_dir, "bench_lines"), "exact"), 0.7))
