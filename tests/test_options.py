@@ -165,3 +165,22 @@ def test_index_recall(spark):
     assert len(got & want) >= 0.9 * len(want)
     small = spark.createDataFrame([(i, np.random.default_rng(i).random(4).tolist()) for i in range(9)], "vec_id long, embedding array<double>")
     assert sorted(map(tuple, knn_index(small, 2).collect())) == sorted(map(tuple, knn_edges(small, 2).collect()))
+
+
+def test_diverse_start_from_tables(spark):
+    """The distributed picks are those of the matrix form."""
+    rows = spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").limit(80).collect()
+    df = spark.createDataFrame([(r["vec_id"], [float(x) for x in r["embedding"]]) for r in rows], "vec_id long, embedding array<double>")
+    want = S.dpp_local([r["vec_id"] for r in rows], np.array([r["embedding"] for r in rows], float), 7)
+    assert [r["id"] for r in S.dpp_map(df, 7).orderBy("rank").collect()] == want
+
+
+def test_tree_of_limited_width(spark):
+    """Beyond the fan-out, lines of later first words share a leaf."""
+    from tplforge.operators.baselines import parse_tree
+
+    d = tokenize(spark.createDataFrame([(i, "d", f"w{chr(97 + i)} is on", "x") for i in range(6)], "log_id long, domain string, raw string, truth string"))
+    groups = lambda n: {r["log_id"]: r["pred"] for r in parse_tree(d, fanout=n).collect()}
+    assert len(set(groups(100).values())) == 6
+    few = groups(2)
+    assert few[0] == "wa is on" and few[1] == "wb is on" and {few[i] for i in range(2, 6)} == {"<*> is on"}

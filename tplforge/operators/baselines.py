@@ -5,6 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from tplforge.functions.confidence import mean_prob
@@ -51,11 +52,12 @@ class ParseTree:
         return len(self.groups) - 1
 
 
-def parse_tree(lines: DataFrame, depth: int = 4, sim: float = 0.5) -> DataFrame:
+def parse_tree(lines: DataFrame, depth: int = 4, sim: float = 0.5, fanout: int = 100) -> DataFrame:
     """Fixed-depth tree: by word count, then the first depth-2 words (masked), then by agreement.
 
     Lines are taken in log_id order. Equal masked lines meet the same group, so only distinct
-    masked lines are grouped: a leaf holds patterns, not lines.
+    masked lines are grouped: a leaf holds patterns, not lines. Below a word count there are at most `fanout`
+    leaves, in the order in which their first words were met; later ones share one leaf.
     """
     shown = lines.withColumn("masked", masked(F.col("words")))
     pats = shown.groupBy("domain", "masked").agg(F.min("log_id").alias("first")).withColumn("n", F.size("masked")).withColumn("head", F.array_join(F.slice("masked", 1, max(1, depth - 2)), " "))
@@ -66,6 +68,9 @@ def parse_tree(lines: DataFrame, depth: int = 4, sim: float = 0.5) -> DataFrame:
         group = [tree.add(list(w)) for w in pdf.masked]
         return pd.DataFrame({"domain": pdf.domain, "masked": pdf.masked, "pred": [" ".join(tree.groups[g]) for g in group]})
 
+    pats = stored(pats, "tree-patterns")
+    met = pats.groupBy("domain", "n", "head").agg(F.min("first").alias("met")).withColumn("k", F.row_number().over(W.partitionBy("domain", "n").orderBy("met"))).filter(F.col("k") <= fanout)
+    pats = pats.join(met.select("domain", "n", "head", "k"), ["domain", "n", "head"], "left").withColumn("head", F.when(F.col("k").isNull(), WILD).otherwise(F.col("head"))).drop("k")
     found = pats.groupBy("domain", "n", "head").applyInPandas(leaf, "domain string, masked array<string>, pred string")
     return shown.join(found, ["domain", "masked"]).drop("masked")
 
