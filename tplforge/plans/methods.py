@@ -11,15 +11,15 @@ from pyspark.sql import functions as F
 
 from tplforge.functions import measures as M
 from tplforge.functions.confidence import difficulty, inconsistent, mean_prob
-from tplforge.functions.distance import sed, sed_arrow, sed_fold
+from tplforge.functions.distance import cosine, sed, sed_arrow, sed_fold
 from tplforge.functions.words import SHAPES, Similarity, graph, residual_join, tokenize, words
 from tplforge.operators import baselines as B
 from tplforge.operators import budget as budgets
 from tplforge.operators import rounds as R
 from tplforge.operators import select as S
 from tplforge.operators.context import adaptive_sql, context_frame
-from tplforge.operators.models import CANDIDATES, Context, ContextTagger
-from tplforge.operators.prompt import INSTRUCTION, build
+from tplforge.operators.models import CANDIDATES, Context, ContextTagger, TruthAnnotator
+from tplforge.operators.prompt import INSTRUCTION, attach, build
 from tplforge.operators.represent import edges, knn_edges, knn_index, patterns, score, sizes
 from tplforge.plans.choose import choose
 from tplforge.sources.corpus import CORPORA, SCALE, SCALED, TRUTH, corpus, document_lines, plain, query, table
@@ -114,6 +114,14 @@ def residual_words(spark, sf_dir):
     return residual_join(docs.join(known, "log_id", "left_anti"), vocab).select("log_id", F.size("residual").alias("n_residual"))
 
 
+@register(f"WITH {_DOC_WORDS} SELECT count(DISTINCT w) AS words FROM w JOIN labels USING (doc_id)", "words_seen")
+def _words_seen(spark, sf_dir):
+    """Words that labelled documents identify."""
+    known = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("log_id"))
+    n = budgets.words_seen(_documents(spark, sf_dir).join(known, "log_id", "left_semi"))
+    return spark.createDataFrame([(n,)], "words long")
+
+
 # ---- distances and representation ----------------------------------------------------------
 #: free text: a line stands for those that differ in a tenth of the words
 DOC_DELTA = 0.1
@@ -207,6 +215,14 @@ def emb_knn_coverage(spark, sf_dir):
     return knn_edges(table(spark, sf_dir, "embeddings"), 5).groupBy("dst").agg(F.count("*").alias("size"))
 
 
+@register("SELECT a.vec_id AS src, b.vec_id AS dst, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cos FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
+def emb_line_cosine(spark, sf_dir):
+    """Cosine of two vectors in built-in functions, for each row and the next."""
+    e = table(spark, sf_dir, "embeddings")
+    b = e.select((F.col("vec_id") - 1).alias("vec_id"), F.col("vec_id").alias("dst"), F.col("embedding").alias("other"))
+    return e.join(b, "vec_id").select(F.col("vec_id").alias("src"), "dst", F.round(cosine(F.col("embedding"), F.col("other")), 6).alias("cos"))
+
+
 @register()
 def emb_knn_index(spark, sf_dir):
     """The same neighbours through an index: every row is in a list, a query looks into the nearest lists."""
@@ -259,6 +275,12 @@ def top_difficulty(spark, sf_dir):
     return S.top_difficulty(c, 50)
 
 
+@register(f"WITH {_ANSWERS} SELECT log_id FROM b WHERE p < 0.5")
+def still_open(spark, sf_dir):
+    """Lines that the generic framework keeps for the next round: those the model is not sure of."""
+    return R.still_open(answers(spark, sf_dir), 0.5).select("log_id")
+
+
 @register(f"WITH {_ANSWERS} SELECT count(*) FILTER (WHERE log_id % 10 = 0) AS gen_errors, count(*) FILTER (WHERE log_id % 15 = 0) AS word_errors FROM b", "error_counts")
 def _errors(spark, sf_dir):
     return M.errors(answers(spark, sf_dir), keys=())
@@ -291,7 +313,7 @@ def _greedy_query(form: str, lam: float):
 
 
 
-def _greedy_sql(form: str, lam: float, b: int, name: str = "ord_desk") -> str:
+def _greedy_sql(form: str, lam: float, b: int, name: str = "ord_desk", result: str | None = None) -> str:
     """The picks unrolled: x<k> is what the first k picks cover, g<k> the gains after them, p<k> the k-th pick."""
     u = "(SELECT count(*) FROM t)"
     parts = [
@@ -308,13 +330,20 @@ def _greedy_sql(form: str, lam: float, b: int, name: str = "ord_desk") -> str:
         parts.append(f"p{k + 1} AS (SELECT * FROM g{k} ORDER BY gain DESC, log_id LIMIT 1)")
         parts.append(f"x{k + 1} AS (SELECT dst FROM x{k} UNION SELECT dst FROM f JOIN p{k + 1} ON src = log_id)")
     rows = " UNION ALL ".join(f"SELECT {k}::INT AS rank, log_id, gain, (SELECT count(*) FROM x{k})::INT AS covered, difficulty FROM p{k}" for k in range(1, b + 1))
-    return f"WITH {', '.join(parts)} {rows}"
+    return f"WITH {', '.join(parts)} {result or rows}"
 
 
 for _key, _form, _lam in (("greedy_separable", "separable", 0.5), ("greedy_as_printed", "as_printed", 0.5), ("greedy_coverage_only", "separable", 0.0)):
     register(_greedy_sql(_form, _lam, 4), _key)(_greedy_query(_form, _lam))
 
 
+@register(_greedy_sql("separable", 0.0, 4, result="SELECT round((SELECT count(*) FROM x4) / (SELECT count(*) FROM t)::DOUBLE, 9) AS coverage"))
+def coverage_of_picks(spark, sf_dir):
+    """Share of the patterns that four picks stand for."""
+    c, e = _candidates(spark, sf_dir)
+    return M.coverage(S.greedy(c, e, 4, 0.0), e, c.count()).select(F.round("coverage", 9).alias("coverage"))
+
+
 @register(_greedy_sql("separable", 0.5, 5))
 def greedy_lazy(spark, sf_dir):
     """Stale gains in a heap on the driver, where the number of patterns was checked; the same picks from stored tables beyond."""
@@ -392,17 +421,30 @@ Words: ') + length(regexp_replace(raw, '\\s+', ' | ', 'g')) + length('
 Template:')"""
 
 
-@register(f"WITH l AS ({_lines_sql(_SMALL)}) SELECT domain, log_id, cast(ceil(({_PROMPT_LENGTH}) / 4.0) AS BIGINT) AS tokens FROM l")
+@register(f"WITH l AS ({_lines_sql(TRUTH)}) SELECT domain, log_id, cast(ceil(({_PROMPT_LENGTH}) / 4.0) AS BIGINT) AS tokens FROM l")
 def prompt_tokens(spark, sf_dir):
-    d = all_lines(spark, sf_dir, _SMALL)
+    d = all_lines(spark, sf_dir)
     none = F.array().cast("array<struct<raw:string,template:string>>")
     return d.select("domain", "log_id", M.tokens(build(F.col("raw"), none)).alias("tokens"))
 
 
-@register(f"WITH l AS ({_lines_sql(_SMALL)}), t AS (SELECT domain, cast(ceil(({_PROMPT_LENGTH}) / 4.0) AS BIGINT) AS tokens FROM l) SELECT domain, sum(tokens)::BIGINT AS tokens, round(sum(tokens) * 3.6e-6, 6) AS usd, round(avg(tokens) * 3.6e-6, 9) AS usd_per_line FROM t GROUP BY 1", "api_cost")
+@register(
+    f"""WITH l AS ({_lines_sql(("evt_simple",))}), d AS (SELECT string_agg('Line: ' || raw || chr(10) || 'Template: ' || truth || chr(10), '' ORDER BY log_id) AS shown FROM (SELECT * FROM l ORDER BY log_id LIMIT 3))
+SELECT log_id, md5('{INSTRUCTION}' || chr(10) || shown || 'Line: ' || raw || chr(10) || 'Words: ' || regexp_replace(raw, '\\s+', ' | ', 'g') || chr(10) || 'Template:') AS prompt FROM l, d"""
+)
+def prompt_with_demos(spark, sf_dir):
+    """Whole prompts with three examples (those of the least ids), as digests."""
+    d = lines(spark, sf_dir, "evt_simple")
+    labelled = TruthAnnotator(d).label([r["log_id"] for r in d.orderBy("log_id").limit(3).collect()])
+    shown = spark.createDataFrame([(x.id, " ".join(x.words), " ".join(x.labels)) for x in labelled], "log_id long, raw string, template string")
+    context = d.select("log_id", F.array(*(F.lit(x.id) for x in labelled)).alias("demos"))
+    return attach(context, d, shown).select("log_id", F.md5("prompt").alias("prompt"))
+
+
+@register(f"WITH l AS ({_lines_sql(TRUTH)}), t AS (SELECT domain, cast(ceil(({_PROMPT_LENGTH}) / 4.0) AS BIGINT) AS tokens FROM l) SELECT domain, sum(tokens)::BIGINT AS tokens, round(sum(tokens) * 3.6e-6, 6) AS usd, round(avg(tokens) * 3.6e-6, 10) AS usd_per_line FROM t GROUP BY 1", "api_cost")
 def _api_cost(spark, sf_dir):
     out = M.api_cost(prompt_tokens(spark, sf_dir), keys=("domain",))
-    return out.select("domain", "tokens", F.round("usd", 6).alias("usd"), F.round("usd_per_line", 9).alias("usd_per_line"))
+    return out.select("domain", "tokens", F.round("usd", 6).alias("usd"), F.round("usd_per_line", 10).alias("usd_per_line"))
 
 
 # ---- accuracy measures on the masking heuristic ------------------------------------------------------
