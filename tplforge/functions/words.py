@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 import zlib
 
 import numpy as np
@@ -65,17 +66,39 @@ def residual_join(df: DataFrame, known: DataFrame) -> DataFrame:
     return df.join(kept, "log_id", "left").withColumn("residual", F.coalesce("residual", F.array().cast("array<string>")))
 
 
-def vector(word: str) -> np.ndarray:
-    """Signed hashed character 3-grams (and the word), unit length; the stand-in for word embeddings."""
+#: share of a variable word's vector that its shape class makes up; two words of one class then have a cosine of about its square
+CLASS_SHARE = 0.9
+
+
+def _hashed(grams: list[str]) -> np.ndarray:
     v = np.zeros(DIM)
-    marked = f"<{word}>"
-    for g in [marked, *(marked[i : i + 3] for i in range(max(1, len(marked) - 2)))]:
+    for g in grams:
         h = zlib.crc32(g.encode())
         v[h % DIM] += 1.0 if h >> 16 & 1 else -1.0
     n = math.sqrt(v @ v)
     return v / n if n else v
 
 
+def shape_of(word: str) -> str:
+    """shape() for one word outside Spark."""
+    return next((n for n, p in SHAPES if re.match(p, word)), word)
+
+
+def vector(word: str) -> np.ndarray:
+    """Signed hashed character 3-grams (and the word), unit length; the stand-in for word embeddings.
+
+    Words of a shape class (numbers, dates, addresses) lie near each other, as they do in trained embeddings.
+    """
+    marked = f"<{word}>"
+    own = _hashed([marked, *(marked[i : i + 3] for i in range(max(1, len(marked) - 2)))])
+    kind = shape_of(word)
+    if kind == word:
+        return own
+    both = CLASS_SHARE * _hashed([f"{kind}/{i}" for i in range(12)]) + math.sqrt(1 - CLASS_SHARE**2) * own
+    n = math.sqrt(both @ both)
+    return both / n if n else both
+
+
 class Similarity:
     """Word similarity on executors and driver: exact, classed (same shape or string) or vector (cosine >= tau)."""
 
@@ -85,10 +108,7 @@ class Similarity:
 
     def shape(self, w: str) -> str:
         if (s := self._shape.get(w)) is None:
-            import re
-
-            s = next((n for n, p in SHAPES if re.match(p, w)), w)
-            self._shape[w] = s
+            s = self._shape[w] = shape_of(w)
         return s
 
     def vec(self, w: str) -> np.ndarray:

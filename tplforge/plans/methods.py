@@ -22,7 +22,7 @@ from tplforge.operators.models import CANDIDATES, Context, ContextTagger, TruthA
 from tplforge.operators.prompt import INSTRUCTION, attach, build
 from tplforge.operators.represent import edges, knn_edges, knn_index, patterns, score, sizes
 from tplforge.plans.choose import choose
-from tplforge.sources.corpus import CORPORA, SCALE, SCALED, TRUTH, corpus, document_lines, plain, query, table
+from tplforge.sources.corpus import BUDGETS, CORPORA, SCALE, SWEEP_SCALE, TRUTH, corpus, document_lines, plain, query, scaled, table
 
 from tplforge.session import stored
 
@@ -487,9 +487,10 @@ def parse_tree_masked(spark, sf_dir):
 MISREAD = 500
 
 
-def config(name: str) -> R.Config:
-    total, start = SCALED[name]
-    return R.Config(budget=total, start=start, fixed=(10 if total * SCALE == 50 else 40) // SCALE, model=ContextTagger(misread=MISREAD))
+def config(name: str, scale: int = SCALE) -> R.Config:
+    total, start = scaled(name, scale)
+    fixed = max(1, (10 if BUDGETS[name][0] == 50 else 40) // scale)
+    return R.Config(budget=total, start=start, fixed=fixed, model=ContextTagger(misread=MISREAD))
 
 
 def method(spark, sf_dir, name: str, which: str, cfg: R.Config | None = None) -> DataFrame:
@@ -555,7 +556,7 @@ def w3_w4_cost(spark, sf_dir, names=TRUTH, methods=("S1", "MF", "FULL")):
 
 @register()
 def w5_ablation(spark, sf_dir, names=("part_shelf", "evt_rich", "ord_desk", "evt_simple")):
-    got = stored(_union([scored(method(spark, sf_dir, n, w)) for n in names for w in ("FULL", "-SED", "-RS", "-PC", "-AD", "-AB")]), "ablation")
+    got = stored(_union([scored(method(spark, sf_dir, n, w, config(n, SWEEP_SCALE))) for n in names for w in ("FULL", "-SED", "-RS", "-PC", "-AD", "-AB")]), "ablation")
     return got.join(M.delta(got, "FULL", ("domain", "population")), ["domain", "population", "method"], "left")
 
 
@@ -563,7 +564,7 @@ def _sweep(spark, sf_dir, names, values, change, extra=None) -> DataFrame:
     parts = []
     for n in names:
         for v in values:
-            p = method(spark, sf_dir, n, "FULL", change(config(n), v))
+            p = method(spark, sf_dir, n, "FULL", change(config(n, SWEEP_SCALE), v))
             parts.append((extra or scored)(p).withColumn("value", F.lit(float(v))))
     return _union(parts)
 
@@ -574,8 +575,8 @@ _SWEPT = ("ord_desk", "evt_simple")
 
 @register()
 def w6_sweep_budget(spark, sf_dir):
-    """50 to 250 labels, a tenth of it as both corpora have few patterns."""
-    return _sweep(spark, sf_dir, _SWEPT, (5, 10, 15, 20, 25), lambda c, v: replace(c, budget=v, start=(1, 1) if v <= 5 else (5, 2)))
+    """50 to 250 labels, a fiftieth of it."""
+    return _sweep(spark, sf_dir, _SWEPT, (1, 2, 3, 4, 5), lambda c, v: replace(c, budget=v))
 
 
 @register()

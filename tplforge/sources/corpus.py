@@ -54,10 +54,15 @@ TRUTH = ("evt_simple", "evt_rich", "ord_desk", "ship_line", "part_shelf", "ledge
 #: total budget and start-up budgets per corpus
 BUDGETS = {"evt_simple": (50, (10, 10)), "ledger": (50, (10, 10))} | {c: (200, (50, 25)) for c in ("evt_rich", "ord_desk", "ship_line", "part_shelf", "web_hits")}
 
-#: budgets of the workloads: a tenth, because a label here covers a pattern (all lines of one shape), and most corpora have
-#: fewer patterns than labels. So a budget decides something and there are several rounds.
-SCALE = 10
-SCALED = {c: (total // SCALE, tuple(max(1, x // SCALE) for x in start)) for c, (total, start) in BUDGETS.items()}
+#: the workloads take a tenth of the budgets, because a label here covers a pattern (all lines of one shape) and most corpora
+#: have fewer patterns than labels; ablation and sweeps, whose corpora are flat from there on, a fiftieth. So a budget decides something.
+SCALE, SWEEP_SCALE = 10, 50
+
+
+def scaled(name: str, scale: int = SCALE) -> tuple[int, tuple[int, ...]]:
+    """Budget and start-up budgets of a corpus, divided by scale, 1 at least."""
+    total, start = BUDGETS[name]
+    return max(1, total // scale), tuple(max(1, x // scale) for x in start)
 
 
 def tables_of(sql: str) -> list[str]:
