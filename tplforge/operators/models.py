@@ -161,7 +161,10 @@ PREDICTED = "log_id long, labels array<string>, echo array<string>, probs array<
 
 def predict(lines: DataFrame, model, ctx: Context, demos: list[Demo], rnd: int = 0) -> DataFrame:
     """Answers for lines(log_id, words), distinct by words; the labelled set (bounded by the budget) is broadcast."""
-    held = lines.sparkSession.sparkContext.broadcast((model, ctx, demos, rnd))
+    spark = lines.sparkSession
+    held = spark.sparkContext.broadcast((model, ctx, demos, rnd))
+    # a line costs far more than its bytes say, so a few bytes are still worth all tasks
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 2 * spark.sparkContext.defaultParallelism)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         p = Predictor(*held.value)
@@ -172,7 +175,7 @@ def predict(lines: DataFrame, model, ctx: Context, demos: list[Demo], rnd: int =
                 rows.append((i, a.labels, a.echo, a.probs, chosen, missing, n))
             yield pd.DataFrame(rows, columns=["log_id", "labels", "echo", "probs", "demos", "uncovered", "tokens"])
 
-    return lines.select("log_id", "words").mapInPandas(run, PREDICTED)
+    return lines.select("log_id", "words").repartition(tasks, "log_id").mapInPandas(run, PREDICTED)
 
 
 def templates(pred: DataFrame) -> DataFrame:
