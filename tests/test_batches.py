@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from test_distributed_rounds import _lines
 from test_forms import DEMOS, ODD
 
+from tplforge.functions.words import vector, vectors
 from tplforge.operators import models, rounds
 from tplforge.operators.batches import Batches, in_batches
 from tplforge.operators.context import Demo
@@ -66,3 +67,9 @@ def test_the_model_is_not_asked_line_by_line(spark, monkeypatch):
     got = rounds.run(d, cfg, compact=True).predictions
     assert got.groupBy("pred").count().agg(F.sum("count")).first()[0] == 2000
     assert seen.value < 100
+
+
+def test_vectors_of_odd_words():
+    rng = np.random.default_rng(1)
+    many = ["", "a", "é", "1", "<>", "٣", *("".join(rng.choice(list("0123456789./:-#aB<éxF"), rng.integers(0, 12))) for _ in range(500))]
+    assert np.array_equal(vectors(many), np.array([vector(w) for w in many])) and vectors([]).shape == (0, 64)
