@@ -1,4 +1,4 @@
-"""The ablation takes the surveyed budgets, beside a fiftieth of them."""
+"""The ablation and the sweep of lambda take the surveyed budgets, beside a fiftieth of them."""
 
 from collections import Counter
 
@@ -7,7 +7,7 @@ import pytest
 from tplforge.plans import methods
 from tplforge.sources.corpus import SWEEP_SCALE, scaled
 
-RUNS = {"w5_ablation": 6}
+RUNS = {"w5_ablation": 6, "w7_sweep_lambda": 5}
 
 
 @pytest.mark.parametrize("name", RUNS)
